@@ -64,7 +64,12 @@ def exchange_segments(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
     """holder, owner, rid, bkv, w0.., seg_ones: holder j gets piece j of every owner, its own included."""
     pieces = encoded.withColumn("holder", F.explode(F.sequence(F.lit(1), F.lit(spec.parties))))
     local = F.transform(F.filter("places", lambda p: F.floor(p / spec.width) == F.col("holder") - 1), lambda p: p % spec.width)
-    words = [F.aggregate(F.filter("local", lambda p, k=k: F.floor(p / 63) == k), F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), p % 63))).alias(f"w{k}") for k in range(spec.words)]
+
+    def word(k: int) -> Column:
+        bits = F.filter("local", lambda p: F.floor(p / 63) == k)
+        return F.aggregate(bits, F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), p % 63))).alias(f"w{k}")
+
+    words = [word(k) for k in range(spec.words)]
     held = pieces.withColumn("local", local)
     return held.select("holder", F.col("party").alias("owner"), "rid", "entity", "bkv", *words, F.size("local").alias("seg_ones"), "x_own")
 
@@ -119,7 +124,9 @@ def classify(partials: DataFrame, spec: LinkageSpec) -> DataFrame:
 
 
 def link(register: DataFrame, spec: LinkageSpec, mode: str = "approx") -> DataFrame:
-    return classify(partial_counts(exchange_segments(encode_register(register, spec), spec), spec, prune=mode == "approx_filtered"), spec)
+    # every holder reads the exchanged pieces P times
+    view = exchange_segments(encode_register(register, spec), spec).persist()
+    return classify(partial_counts(view, spec, prune=mode == "approx_filtered"), spec)
 
 
 def exact_conjunction(register: DataFrame, spec: LinkageSpec) -> DataFrame:
