@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from ringlink.llm import mixing, packing, rules, simhash
+from ringlink.llm import mixing, packing, pii, rules, simhash
 from ringlink.llm.common import table
 
 
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op1_best_fit_packing": docs(packing.digest),
         "op6_entropy_mixing": docs(mixing.digest),
         "op7_covering_simhash": docs(simhash.digest),
+        "op8_bootstrapped_pii": docs(pii.digest),
         "op10_rule_ledger": docs(rules.digest),
     }
 
