@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from ringlink.llm import embeddings, licenses, mixing, packing, pii, rules, simhash
+from ringlink.llm import embeddings, licenses, mixing, packing, pii, rules, simhash, toxicity, warc
 from ringlink.llm.common import table
 
 
@@ -10,6 +10,8 @@ def queries() -> dict:
     docs = lambda f: lambda spark, d: f(table(spark, d, "documents"))
     return {
         "op1_best_fit_packing": docs(packing.digest),
+        "op2_channel_toxicity": lambda spark, d: toxicity.score(table(spark, d, "documents"), table(spark, d, "labels")),
+        "op3_warc_transactions": lambda spark, d: warc.digest(table(spark, d, "pages")),
         "op4_license_containment": docs(licenses.digest),
         "op5_epsilon_grid_join": lambda spark, d: embeddings.near_duplicates(table(spark, d, "embeddings")),
         "op6_entropy_mixing": docs(mixing.digest),
