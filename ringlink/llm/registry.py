@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from ringlink.llm import embeddings, licenses, mixing, packing, pii, rules, simhash, toxicity, warc
+from ringlink.llm import embeddings, licenses, mixing, packing, pii, quality_lm, rules, simhash, toxicity, warc
 from ringlink.llm.common import table
 
 
@@ -17,6 +17,7 @@ def queries() -> dict:
         "op6_entropy_mixing": docs(mixing.digest),
         "op7_covering_simhash": docs(simhash.digest),
         "op8_bootstrapped_pii": docs(pii.digest),
+        "op9_kneser_ney_quality": lambda spark, d: quality_lm.score(table(spark, d, "documents"), table(spark, d, "labels")),
         "op10_rule_ledger": docs(rules.digest),
     }
 
