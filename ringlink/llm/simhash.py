@@ -61,43 +61,76 @@ def _printed(shingle: int):
     return run
 
 
-def _near(radius: int, block: int = 1024):
+def _covered(radius: int, bits: int):
+    """Rows (mask, fp, rep), each once for every mask that covers the places its mask left free."""
+    finer: dict[int, np.ndarray] = {}
+
+    def run(batches):
+        for batch in batches:
+            mask, fp, rep = (batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("mask", "fp", "rep"))
+            for m in np.unique(mask):
+                if m not in finer:
+                    held = int(m) & (1 << 64) - 1
+                    subs = sorted({held | x for x in masks([b for b in range(bits) if not held >> b & 1], radius)})
+                    finer[m] = np.array([_signed(x) for x in subs], np.int64)
+                here, subs = mask == m, finer[m]
+                f, r = np.tile(fp[here], len(subs)), np.tile(rep[here], len(subs))
+                k = np.repeat(subs, here.sum())
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (k, f & k, f, r)], names=["mask", "key", "fp", "rep"])
+
+    return run
+
+
+def _near(radius: int, forest: bool, block: int = 1024):
+    """Each bucket's links: all of them, or with `forest` only a star for each of its connected groups."""
+
     def run(batches):
         for batch in batches:
-            a, b = [], []
+            a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for members in batch.column("members").to_pylist():
                 fp = np.array([m["fp"] for m in members], np.int64).view(np.uint64)
-                rep = [m["rep"] for m in members]
+                rep = np.array([m["rep"] for m in members], np.int64)
+                if forest:
+                    near = np.bitwise_count(fp[:, None] ^ fp[None, :]) <= radius
+                    root, was = rep, None
+                    while was is None or (root != was).any():
+                        was, root = root, np.where(near, root[None, :], np.iinfo(np.int64).max).min(1)
+                    keep = root != rep
+                    a.append(root[keep]), b.append(rep[keep])
+                    continue
                 for at in range(0, len(fp), block):
                     i, j = np.nonzero(np.bitwise_count(fp[at : at + block, None] ^ fp[None, :]) <= radius)
-                    for x, y in zip(i + at, j, strict=True):
-                        if x < y:
-                            a.append(rep[x]), b.append(rep[y])
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+                    keep = i + at < j
+                    a.append(rep[i[keep] + at]), b.append(rep[j[keep]])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], names=["a", "b"])
 
     return run
 
 
-def links(prints: DataFrame, radius: int = 3, small: int = 256, bits: int = 64) -> DataFrame:
+def links(prints: DataFrame, radius: int = 3, small: int = 256, bits: int = 64, forest: bool = False) -> DataFrame:
     """(a, b) of the distinct fingerprints (fp, rep) that differ in `radius` bits or fewer, all of them.
 
-    A bucket of over `small` fingerprints is never gathered: it is covered again on the places that its mask
-    left free, about half as many each time, until those admit only 2^8 fingerprints a bucket.
+    A bucket of over `small` fingerprints is covered again on the places that its mask left free, about half as
+    many each time; with 2^radius free places or fewer it holds few enough to be compared at once. With `forest`
+    a bucket gives links enough to connect what its links connect, not every pair of a crowded group.
     """
     spark = prints.sparkSession
     found = spark.createDataFrame([], "a long, b long")
-    level, used = prints.select(F.lit(0).cast("long").alias("mask"), "fp", "rep"), [0]
-    while used:
-        grow = {m: [m | x for x in masks([b for b in range(bits) if not m >> b & 1], radius)] for m in used}
-        pick = F.create_map(*(x for m, subs in grow.items() for x in (F.lit(_signed(m)), F.array(*(F.lit(_signed(s)) for s in subs)))))
-        rows = level.select(F.explode(pick[F.col("mask")]).alias("mask"), "fp", "rep").withColumn("key", F.col("fp").bitwiseAND(F.col("mask")))
+    level = prints.select(F.lit(0).cast("long").alias("mask"), "fp", "rep")
+    split = (F.col("n") > small) & (F.bit_count("mask") < bits - 2**radius)
+    first = True
+    while True:
+        rows = level.mapInArrow(_covered(radius, bits), "mask long, key long, fp long, rep long")
+        if not first:
+            rows = rows.dropDuplicates(["mask", "fp"])  # two coarse masks may lead to one finer mask
+        first = False
         sizes = rows.groupBy("mask", "key").agg(F.count("*").alias("n")).where("n > 1")
         full = settle(rows.join(sizes, ["mask", "key"]))
-        few = full.where(F.col("n") <= small).groupBy("mask", "key").agg(F.collect_list(F.struct("fp", "rep")).alias("members"))
-        found = found.union(few.select("members").mapInArrow(_near(radius), "a long, b long"))
-        level = full.where(F.col("n") > small).select("mask", "fp", "rep")
-        used = sorted({r["mask"] & (1 << 64) - 1 for r in level.select("mask").distinct().collect()})
-    return found.distinct()
+        few = full.where(~split).groupBy("mask", "key").agg(F.collect_list(F.struct("fp", "rep")).alias("members"))
+        found = found.union(few.select("members").mapInArrow(_near(radius, forest), "a long, b long"))
+        level = full.where(split).select("mask", "fp", "rep")
+        if level.isEmpty():
+            return found.distinct()
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3) -> DataFrame:
@@ -108,7 +141,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3) -> DataF
     """
     prints = settle(docs.select("doc_id", "text").mapInArrow(_printed(shingle), "doc_id long, fp long"))
     classes = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    groups = components(links(classes, radius))
+    groups = components(links(classes, radius, forest=True))
     named = classes.join(groups, F.col("rep") == F.col("node"), "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     return prints.join(named, "fp").select("doc_id", "fp", "component_id")
 
