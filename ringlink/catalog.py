@@ -6,7 +6,10 @@ from dataclasses import replace
 
 from pyspark.sql import functions as F
 
+from ringlink.operators import baselines as B
+from ringlink.operators import corruption as C
 from ringlink.operators import linkage as L
+from ringlink.operators import measures as M
 from ringlink.spec import LinkageSpec
 
 
@@ -31,8 +34,43 @@ def view(spark, d, spec):
     return L.exchange_segments(encoded(spark, d, spec), spec)
 
 
+#: Blocks that DuckDB can build too, for comparisons row by row.
+PREFIX = LinkageSpec(block_fn="prefix:4")
+
+
+def dirty(spark, d, parties, rate):
+    return C.corrupt_register(register(spark, d, parties), parties, rate)
+
+
+def _references() -> dict:
+    s, out = PREFIX, {}
+    sets = lambda k, d: L.candidate_count(encoded(k, d, s), s)
+    kept = lambda k, d: L.partial_counts(view(k, d, s), s, prune=True)
+    out["match_approx_prefix"] = lambda k, d: L.link(register(k, d), s)
+    out["candidate_count_prefix"] = sets
+    out["central_dice"] = lambda k, d: B.central(encoded(k, d, s), s)
+    for kind in ("jaccard", "overlap", "cosine"):
+        out[f"central_{kind}"] = lambda k, d, kind=kind: B.central(encoded(k, d, s), s, kind)
+    out["clear_qgram_dice"] = lambda k, d: B.clear_qgrams(register(k, d), s)
+    out["clear_exact"] = lambda k, d: B.clear_exact(register(k, d), s)
+    out["equal_filters"] = lambda k, d: B.equal_filters(encoded(k, d, s), s)
+    out["fill_ratio"] = lambda k, d: M.fill_ratio(encoded(k, d, s), s)
+    out["reduction_ratio"] = lambda k, d: M.reduction_ratio(register(k, d), sets(k, d))
+    out["filter_reduction"] = lambda k, d: M.filter_reduction(kept(k, d), sets(k, d), s.parties)
+    out["bit_sensitivity"] = lambda k, d: M.bit_sensitivity(register(k, d), s, lambda g: L.positions(g, s))
+    out["rotating_ring"] = lambda k, d: M.rotating_ring(kept(k, d), s)
+    out["best_per_record"] = lambda k, d: M.best_per_record(L.link(register(k, d), s), s.parties)
+    out["perturbed_fill"] = lambda k, d: M.fill_ratio(M.perturb(encoded(k, d, s), s, 0.05), s)
+    for rate in (20, 40):
+        out[f"corrupted_register_{rate}"] = lambda k, d, rate=rate: dirty(k, d, 3, rate)
+        for mode in ("approx", "approx_filtered"):
+            out[f"quality_{mode}_{rate}"] = lambda k, d, rate=rate, mode=mode: L.quality(L.link(dirty(k, d, 3, rate), spec_for(3), mode), L.true_sets(register(k, d), s))
+        out[f"quality_exact_{rate}"] = lambda k, d, rate=rate: L.quality(B.equal_filters(L.encode_register(dirty(k, d, 3, rate), s), s), L.true_sets(register(k, d), s))
+    return out
+
+
 def queries() -> dict:
-    out = {}
+    out = _references()
     for p in (3, 5, 7):
         s = spec_for(p)
         out[f"register_p{p}"] = lambda k, d, p=p: register(k, d, p).select("party", "rid", "entity", "given", "surname", "suburb", "postcode")
@@ -68,4 +106,23 @@ def oracle_sql() -> dict[str, str]:
     out = {f"register_p{p}": f"WITH {_register_sql(p)} SELECT party, rid, entity, given, surname, suburb, postcode FROM reg" for p in (3, 5, 7)}
     s = spec_for(3)
     out["encode_shared"] = f"WITH {_encode_sql(s)} SELECT party, rid, string_agg(p::VARCHAR,' ' ORDER BY p) AS places, count(*)::INT AS x_own FROM pos GROUP BY party, rid"
-    return out
+    return out | _reference_sql()
+
+
+def _reference_sql() -> dict[str, str]:
+    s = PREFIX
+    base = f"""{_encode_sql(s)},
+e AS (SELECT pos.party, pos.rid, any_value(left(surname,4)) AS b, list(p) AS v, count(*) AS x FROM pos JOIN reg ON pos.rid=reg.rid GROUP BY ALL),
+t AS (SELECT one.rid||','||two.rid||','||three.rid AS cand, one.x+two.x+three.x AS x, len(list_intersect(list_intersect(one.v,two.v),three.v)) AS c
+ FROM e one JOIN e two ON one.b=two.b AND two.party=2 JOIN e three ON one.b=three.b AND three.party=3 WHERE one.party=1)"""
+    hit = "FROM t WHERE 15*c >= 4*x"
+    qids = ",".join(s.qids)
+    return {
+        "match_approx_prefix": f"WITH {base} SELECT cand, c::BIGINT AS c, x::BIGINT AS x, round(3*c/x,6) AS sim {hit}",
+        "central_dice": f"WITH {base} SELECT cand, round(3*c/x,6) AS sim {hit}",
+        "candidate_count_prefix": f"WITH {base} SELECT count(*) AS candidates FROM t",
+        "clear_exact": f"WITH {_register_sql(3)} SELECT a.rid||','||b.rid||','||c.rid AS cand FROM reg a JOIN reg b USING ({qids}) JOIN reg c USING ({qids}) WHERE a.party=1 AND b.party=2 AND c.party=3",
+        "fill_ratio": f"WITH {_encode_sql(s)} SELECT party, count(DISTINCT rid) AS n, round(count(*)/(count(DISTINCT rid)*{s.bits}),6) AS fill FROM pos GROUP BY party",
+        "bit_sensitivity": f"""WITH {_encode_sql(s)}, d AS (SELECT p, count(DISTINCT gram) AS dist FROM (SELECT gram, ('0x'||substr(md5('{s.secret}|'||i::VARCHAR||'|'||gram),1,8))::BIGINT % {s.bits} AS p FROM (SELECT DISTINCT gram FROM g), range(0,{s.hashes}) t(i)) GROUP BY p),
+f AS (SELECT p, count(*) AS freq FROM pos GROUP BY p) SELECT p::INT AS place, dist, freq, round(1/dist,6) AS s FROM d JOIN f USING (p)""",
+    }

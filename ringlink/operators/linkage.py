@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from ringlink.operators.blocking import block_key
 from ringlink.spec import LinkageSpec
 
 # The syllables of the derived person register.
@@ -55,8 +56,7 @@ def positions(grams: Column, spec: LinkageSpec) -> Column:
 def encode_register(register: DataFrame, spec: LinkageSpec) -> DataFrame:
     """party, rid, bkv, places, x_own. A gram is hashed once: the gram dictionary is bounded by the alphabet."""
     grams = F.array_distinct(F.flatten(F.array(*(qgrams(F.lower(F.trim(F.coalesce(F.col(c), F.lit(""))))) if spec.q == 2 else qgrams(F.lower(F.trim(F.coalesce(F.col(c), F.lit("")))), spec.q) for c in spec.qids))))
-    key = F.concat_ws("|", *(F.soundex(F.col(k)) for k in spec.block_keys))
-    rows = register.select("party", "rid", "entity", key.alias("bkv"), grams.alias("grams"))
+    rows = register.select("party", "rid", "entity", block_key(spec.block_keys, spec.block_fn).alias("bkv"), grams.alias("grams"))
     return rows.withColumn("places", positions(F.col("grams"), spec)).withColumn("x_own", F.size("places")).drop("grams")
 
 

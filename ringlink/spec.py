@@ -37,6 +37,7 @@ class LinkageSpec:
     threshold: tuple[int, int] = (4, 5)
     seg_threshold: tuple[int, int] | None = None
     block_keys: tuple[str, ...] = ("surname",)
+    block_fn: str = "soundex"
     qids: tuple[str, ...] = ("given", "surname", "suburb", "postcode")
     secret: str = ""
 
