@@ -52,19 +52,22 @@ def corrupt_register(register: DataFrame, parties: int, rate: int, seed: str = "
     shared = F.pmod(e, F.lit(parties + 1)) == 0
     holders = F.lit(1) + _hash(seed, "m", e) % (2**parties - 2)
     hit = shared & (_hash(seed, "c", e) % 100 < rate) & (F.expr("shiftright(_holders, party - 1)").bitwiseAND(F.lit(1)) == 1)
-    out = register.withColumn("_holders", holders).withColumn("corrupted", hit).withColumn("_ops", F.lit(1) + _hash(seed, "n", e, p) % most)
-    for step in range(1, most + 1):
-        draw = lambda kind: _hash(seed, kind, e, p, step)  # noqa: B023, E731
-        out = out.withColumns({"_attr": draw("a") % len(qids), "_kind": draw("o") % 6, "_pos": draw("p"), "_ch": draw("s")})
-        changed = {}
+    rows = register.withColumn("_holders", holders).withColumn("corrupted", hit)
+    steps = F.slice(F.array(*(F.lit(i) for i in range(1, most + 1))), F.lit(1), F.when(F.col("corrupted"), (F.lit(1) + _hash(seed, "n", e, p) % most).cast("int")).otherwise(0))
+
+    def edit(record: Column, step: Column) -> Column:
+        draw = lambda kind: _hash(seed, kind, e, p, step)
+        attr, kind, fields = draw("a") % len(qids), draw("o") % 6, []
         for i, name in enumerate(qids):
-            c = F.col(name)
-            pos = (F.lit(1) + F.col("_pos") % F.greatest(F.length(c), F.lit(1))).cast("int")
-            sign = (F.lit(48) + F.col("_ch") % 10 if name == "postcode" else F.lit(97) + F.col("_ch") % 26).cast("int")
-            forms = [edit_insert(c, pos, F.char(sign)), edit_delete(c, pos), edit_substitute(c, pos, F.char(sign)), edit_transpose(c, pos), c if name == "postcode" else ocr_confuse(c), phonetic_rewrite(c)]
+            c = record[name]
+            pos = (F.lit(1) + draw("p") % F.greatest(F.length(c), F.lit(1))).cast("int")
+            sign = F.char((F.lit(48) + draw("s") % 10 if name == "postcode" else F.lit(97) + draw("s") % 26).cast("int"))
+            forms = [edit_insert(c, pos, sign), edit_delete(c, pos), edit_substitute(c, pos, sign), edit_transpose(c, pos), c if name == "postcode" else ocr_confuse(c), phonetic_rewrite(c)]
             edited = c
             for k, form in enumerate(forms):
-                edited = F.when(F.col("_kind") == k, form).otherwise(edited)
-            changed[name] = F.when(F.col("corrupted") & (F.col("_ops") >= step) & (F.col("_attr") == i), edited).otherwise(c)
-        out = out.withColumns(changed)
-    return out.drop("_holders", "_ops", "_attr", "_kind", "_pos", "_ch")
+                edited = F.when((attr == i) & (kind == k), form).otherwise(edited)
+            fields.append(edited.alias(name))
+        return F.struct(*fields)
+
+    # a fold, so that an edit refers to the record before it by name and the expression stays small
+    return rows.withColumn("_record", F.aggregate(steps, F.struct(*qids), edit)).withColumns({q: F.col("_record")[q] for q in qids}).drop("_record", "_holders")

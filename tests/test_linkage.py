@@ -27,3 +27,22 @@ def test_running_example(spark):
     assert [(r["cand"], r["c"], r["x"]) for r in L.classify(parts, spec).collect()] == [("A-1,B-2,C-1", 234, 751)]
     last = {(r["r1"], r["r2"]): r["masked_c"] for r in L.ring_transcript(parts, spec).where("sender = 3").collect()}
     assert len(last) == 4
+
+
+def test_corruption_leaves_one_clean_copy(spark):
+    from ringlink.operators import corruption as C
+
+    reg = L.make_register(spark.range(1, 401).selectExpr("id AS entity", "cast(id % 25 AS int) AS nation"), 3)
+    key = lambda r: (r["party"], r["rid"])
+    clean = {key(r): r for r in reg.collect()}
+    assert all(not r["corrupted"] for r in C.corrupt_register(reg, 3, 0).collect())
+    rows = C.corrupt_register(reg, 3, 40).collect()
+    hit: dict = {}
+    for r in rows:
+        if r["corrupted"]:
+            hit.setdefault(r["entity"], set()).add(r["party"])
+        else:
+            assert all(r[c] == clean[key(r)][c] for c in ("given", "surname", "suburb", "postcode"))
+        assert r["postcode"].isdigit()
+    assert len(rows) == len(clean) and 20 < len(hit) < 60
+    assert all(e % 4 == 0 and 1 <= len(p) <= 2 for e, p in hit.items())
