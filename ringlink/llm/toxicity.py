@@ -73,12 +73,31 @@ def held_out():
     return F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3)) == 1, F.lit(False))
 
 
-def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int = 3, lexicon: int = 20_000) -> DataFrame:
+def features(word: str) -> tuple:
+    """A word and its beginnings of four to six letters."""
+    return (word, *(word[:k] + "~" for k in (4, 5, 6) if len(word) > k)) if len(word) > 2 else ()
+
+
+def evidence(words: set, strong: dict, marked: frozenset, rates: tuple[float, float]) -> float:
+    """Log odds of a text: that of its strong words, or of how dense its words with marked beginnings are, whichever is higher."""
+    hit = {f for w in words for f in features(w) if f in strong}
+    k = sum(1 for w in words if any(f in marked for f in features(w)))
+    bad, good = rates
+    dense = k * math.log(bad / good) - len(words) * (bad - good) if k else 0.0
+    return BIAS + max(sum(strong[f] for f in hit), dense)
+
+
+BIAS = -4.0
+
+
+def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int = 3, share: float = 0.03, lexicon: int = 20_000) -> DataFrame:
     """doc_id, held_out, score, predicted of docs (doc_id, text), one row each.
 
     The channel's language model counts all documents. The lexicon is learned from at most `sample` labelled
-    training rows, chosen by hash: words and word beginnings at least `least` toxic texts have and clean ones hardly.
-    Null and empty texts get the score of no evidence; without labels every score is that.
+    training rows, chosen by hash: features in at least `least` and a `share` of the toxic texts. Those that clean
+    texts hardly have count by presence; those eight times as frequent among toxic texts' words count by density,
+    since a long clean text may hold one by chance. Null and empty texts get the score of no evidence; without labels
+    every score is that.
     """
     d = docs.select("doc_id", "text", held_out().alias("held_out"))
 
@@ -98,35 +117,59 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int =
     p = (n3 + 5 * n1 / n1.sum()) / (n3.sum(2, keepdims=True) + 5)
     cost = -np.log(p)
     chosen = labels.where(F.col("toxic").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id")).limit(sample)
-    train = d.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # sample rows at most
-
-    def features(words) -> set:
-        return {f for w in set(words) if len(w) > 2 for f in (w, *(w[:k] + "~" for k in (4, 5) if len(w) > k))}
+    train = d.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "toxic")  # sample rows at most
 
     def learning(batches):
+        """Per feature and class: texts that have it, distinct words that carry it; "" counts texts and words."""
+        memo: dict = {}
+        texts, carriers = (Counter(), Counter()), (Counter(), Counter())
+        for b in batches:
+            for t, x in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
+                words, y = set(restore(t or "", cost, memo)), int(x > 0)
+                found = Counter(f for w in words for f in features(w))
+                texts[y].update(found.keys())
+                carriers[y].update(found)
+                texts[y][""] += 1
+                carriers[y][""] += len(words)
+        keys = list(set(texts[0]) | set(texts[1]))
+        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.string()), *(pa.array([c[y][k] for k in keys], pa.int64()) for c in (texts, carriers) for y in (1, 0))], names=["f", "bad", "good", "bad_words", "good_words"])
+
+    known = train.mapInArrow(learning, "f string, bad long, good long, bad_words long, good_words long").groupBy("f").agg(*(F.sum(c).alias(c) for c in ("bad", "good", "bad_words", "good_words"))).where((F.col("f") == "") | (F.col("bad") >= least))
+    rows = {r["f"]: tuple(r)[1:] for r in known.orderBy(F.col("f") != "", F.desc(F.col("bad") / (F.col("good") + 1)), "f").limit(lexicon + 1).collect()}
+    bad, good, bad_words, good_words = rows.pop("", (0, 0, 0, 0))
+    strong, marked = {}, set()
+    for f, (a, b, aw, bw) in rows.items():
+        if a < share * bad:
+            continue
+        weight = math.log((a + 0.1) / (bad + 1)) - math.log((b + 0.1) / (good + 1))
+        if weight > 5:
+            strong[f] = weight
+        elif (aw / bad_words) / ((bw + 1) / (good_words + 1)) >= 8:
+            marked.add(f)
+    marked = frozenset(marked)
+
+    def density(batches):
+        """Distinct words and those with a marked beginning, of toxic texts that have one and of clean texts."""
         memo: dict = {}
-        seen = (Counter(), Counter())
-        n = [0, 0]
+        out = [0, 0, 0, 0]
         for b in batches:
             for t, x in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
-                seen[int(x > 0)].update(features(restore(t or "", cost, memo)))
-                n[int(x > 0)] += 1
-        keys = ["", *(set(seen[0]) | set(seen[1]))]
-        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array([n[1], *(seen[1][k] for k in keys[1:])], pa.int64()), pa.array([n[0], *(seen[0][k] for k in keys[1:])], pa.int64())], names=["f", "bad", "good"])
+                words = set(restore(t or "", cost, memo))
+                k = sum(1 for w in words if any(f in marked for f in features(w)))
+                if x <= 0 or k and not any(f in strong for w in words for f in features(w)):
+                    out[2 * (x <= 0)] += k
+                    out[2 * (x <= 0) + 1] += len(words)
+        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in out], names=["a", "b", "c", "d"])
 
-    known = train.select("text", "toxic").mapInArrow(learning, "f string, bad long, good long").groupBy("f").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good")).where((F.col("f") == "") | (F.col("bad") >= least))
-    rows = {r["f"]: (r["bad"], r["good"]) for r in known.orderBy(F.col("f") != "", F.desc(F.col("bad") / (F.col("good") + 1)), "f").limit(lexicon + 1).collect()}
-    bad, good = rows.pop("", (0, 0))
-    weight = {f: w for f, (a, b) in rows.items() if (w := math.log((a + 0.1) / (bad + 1)) - math.log((b + 0.1) / (good + 1))) > 3}
-    bias = -4.0
+    a, b, c, e = train.mapInArrow(density, "a long, b long, c long, d long").agg(*(F.coalesce(F.sum(x), F.lit(0)) for x in "abcd")).first() if marked else (0, 0, 0, 0)
+    clean = (c + 0.5) / (e + 1)
+    rates = (max((a + 0.5) / (b + 1), clean), clean)
 
     def scoring(batches):
         memo: dict = {}
         for b in batches:
-            out = []
-            for t in b.column("text").to_pylist():
-                hit = [weight[f] for f in features(restore(t or "", cost, memo)) if f in weight]
-                out.append(1 / (1 + math.exp(-max(-30.0, min(30.0, bias + sum(hit))))))
+            odds = (evidence(set(restore(t or "", cost, memo)), strong, marked, rates) for t in b.column("text").to_pylist())
+            out = [1 / (1 + math.exp(-max(-30.0, min(30.0, x)))) for x in odds]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(out, pa.float64()), pa.array([int(x >= 0.7) for x in out], pa.int32())], names=["doc_id", "held_out", "score", "predicted"])
 
     return d.mapInArrow(scoring, "doc_id long, held_out boolean, score double, predicted int")
