@@ -58,15 +58,18 @@ def _located(text: Column, kind: str) -> Column:
     return F.when(guard, F.filter(spans, lambda s: _holds(kind, s["value"]))).otherwise(F.array().cast(_SPAN))
 
 
+#: Forms that have a check of their own; what fails it is no identifier, whatever stands before it.
+_CHECKED = {"card": "^[0-9]{14,19}$", "ip": r"^[0-9]+(?:\.[0-9]+){3}$"}
 #: An unknown identifier: a word of seven characters or more with two digits, after a cue word.
 _CUE = r"(?<!\S)([^\s=:]{2,20}+)(?:\s*[=:]\s*[\x22\x27]?|[\x20]+)((?=[^\s\x22\x27]*[0-9][^\s\x22\x27]*[0-9])[A-Za-z0-9@._+/-]{7,64}+)"
 
 
 def patterns(spans: DataFrame, rounds: int = 3, least: float = 0.6, support: int = 5) -> DataFrame:
     """(cue, score) of the trusted lexical patterns. Base entities are the seeds; patterns and instances score each
-    other over the rounds: a pattern by the mean belief in its instances, an instance by its best pattern."""
+    other over the rounds: a pattern by the mean belief in its instances, an instance by its best pattern. A shape
+    starts with the share of seeds among its items, so forms that mostly fail their check (Luhn) lend no trust."""
     pairs = settle(spans.groupBy("cue", "item", "shape").agg(F.max("seed").alias("seed"), F.count("*").alias("n")))
-    belief = pairs.select("shape", F.col("seed").cast("double").alias("belief")).groupBy("shape").agg(F.max("belief").alias("belief"))
+    belief = pairs.groupBy("shape").agg(F.avg("seed").alias("belief"))
     score = None
     for _ in range(rounds):
         score = pairs.join(belief, "shape").groupBy("cue").agg((F.sum(F.col("belief") * F.col("n")) / F.sum("n")).alias("score"), F.sum("n").alias("n")).where(F.col("n") >= support)
@@ -87,14 +90,16 @@ def find(docs: DataFrame) -> DataFrame:
     base = F.array_sort(F.concat(*(_located(text, k) for k in KINDS[:4])))
     digits = F.when(text.rlike("[0-9]"), F.regexp_extract_all(text, F.lit(_CUE), F.lit(0))).otherwise(F.array().cast("array<string>"))
     pairs = docs.select(F.explode(digits).alias("hit")).select(F.lower(F.regexp_extract("hit", _CUE, 1)).alias("cue"), F.regexp_extract("hit", _CUE, 2).alias("item"))
-    seed = F.col("item").rlike(r"^(?:[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+|[0-9]{1,3}(?:\.[0-9]{1,3}){3}|[0-9]{14,19})$")
+    item = F.col("item")
+    seed = F.when(item.rlike(_CHECKED["card"]), _holds("card", item)).when(item.rlike(_CHECKED["ip"]), _holds("ip", item)).otherwise(item.rlike("^" + PATTERN["email"] + "$"))
     shape = F.regexp_replace(F.regexp_replace(F.col("item"), "[A-Za-z]+", "a"), "[0-9]+", "0")
     trusted = patterns(pairs.select("cue", "item", shape.alias("shape"), seed.cast("int").alias("seed")))
     cues = [r["cue"] for r in trusted.orderBy(F.desc("score"), "cue").limit(5_000).collect()]  # a lexicon of bounded size
     more = F.array().cast(_SPAN)
     if cues:
         known = F.array(*map(F.lit, cues)) if len(cues) > 1 else F.array(F.lit(cues[0]))
-        hits = F.filter(digits, lambda h: F.array_contains(known, F.lower(F.regexp_extract(h, _CUE, 1))))
+        checked = "|".join(_CHECKED.values())
+        hits = F.filter(digits, lambda h: F.array_contains(known, F.lower(F.regexp_extract(h, _CUE, 1))) & ~F.regexp_extract(h, _CUE, 2).rlike(checked))
 
         def span(h: Column) -> Column:
             item = F.regexp_extract(h, _CUE, 2)

@@ -60,3 +60,22 @@ def test_decoding():
     cost = -np.log((toxicity.counted(["the idiot is an idiot and a loser"] * 20).reshape(27, 27, 27) + 0.1) / 100)
     assert toxicity.decode("1d10t", cost) == "idiot" and toxicity.decode("looooser", cost) == "loser"
     assert re.fullmatch("[a-z]*", toxicity.decode("@$!", cost))
+
+
+def test_toxicity_counts_rare_beginnings_by_density():
+    rates, marked = (0.03, 0.0005), frozenset(["achli~"])
+    odds = lambda words: toxicity.evidence(set(words), {"moron": 8.0}, marked, rates)
+    short = [f"wort{i}" for i in range(60)]
+    long = [f"wort{i}" for i in range(900)]
+    assert odds([*short, "achlicher", "achliches", "achlichkeit"]) > 1 > 0 > odds([*long, "achlicher"])
+    assert odds([*long, "moron"]) > 1 and odds([]) == odds(short) == toxicity.BIAS
+
+
+def test_pii_bootstrapping_trusts_no_form_that_fails_its_check(spark):
+    from ringlink.llm import pii
+
+    good, bad = "4111111111111111", "4111111111111112"
+    rows = [(i, f"card {good if i < 3 else bad} seen") for i in range(12)] + [(20 + i, f"login user{i + 10}@mail.org now") for i in range(6)] + [(40, "login ab12cd34ef now")]
+    out = {r["doc_id"]: r for r in pii.digest(_docs(spark, [*rows, (50, None)])).collect()}
+    assert out[0]["n_card"] == 1 and out[5]["spans"] == "" and out[20]["n_email"] == 1
+    assert out[40]["spans"] == "context:6:16" and out[50]["spans"] == ""
