@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import math
 import re
 from collections import Counter
@@ -53,20 +54,36 @@ def decode(token: str, cost: np.ndarray) -> str:
     return min((w + cost[a, b, 0], s) for (a, b), (w, s) in beams.items())[1]
 
 
-def restore(text: str, cost: np.ndarray, memo: dict) -> list[str]:
-    """The words of a text, with what each obfuscated stretch decodes to besides."""
-    low = text.lower()
-    words = _WORD.findall(low)
-    for m in [*_SPACED.finditer(low), *_ODD.finditer(low)]:
-        raw = re.sub(r"[ .\-_*]", "", m.group())
-        if len(raw) > 40:
-            continue  # no obfuscated word; its plain words count above
-        if raw not in memo:
-            if len(memo) > 200_000:
-                memo.clear()
-            memo[raw] = decode(raw, cost)
-        words.append(memo[raw])
-    return words
+def _shapes() -> bytes:
+    """Byte -> x where a spaced-out word may have it, s where it may part two of them, else o."""
+    return bytes(120 if chr(c) in "abcdefghijklmnopqrstuvwxyz0123456789@$!|+" else 115 if chr(c) in " .-_*" else 111 for c in range(256))
+
+
+_SHAPE = _shapes()
+
+
+class Restored(dict):
+    """Token between white space -> its words and what its obfuscated stretches decode to."""
+
+    def __init__(self, cost: np.ndarray, most: int = 200_000) -> None:
+        self.cost, self.most = cost, most
+
+    def __missing__(self, token: str) -> tuple:
+        if len(self) >= self.most:
+            self.clear()
+        out = self[token] = (*_WORD.findall(token), *(self.decoded(m.group()) for m in _ODD.finditer(token) if len(m.group()) <= 40))
+        return out
+
+    def decoded(self, raw: str) -> str:
+        return decode(re.sub(r"[ .\-_*]", "", raw), self.cost)
+
+    def words(self, text: str | None) -> set:
+        """The distinct words of a whole text, with what each obfuscated stretch of up to 40 signs decodes to besides."""
+        low = (text or "").lower()
+        out = set(itertools.chain.from_iterable(map(self.__getitem__, set(low.split()))))
+        if b"sxsxsx" in low.encode("utf-8", "replace").translate(_SHAPE):  # no spaced-out word without it
+            out.update(self.decoded(m.group()) for m in _SPACED.finditer(low))
+        return out
 
 
 def held_out():
@@ -78,10 +95,12 @@ def features(word: str) -> tuple:
     return (word, *(word[:k] + "~" for k in (4, 5, 6) if len(word) > k)) if len(word) > 2 else ()
 
 
-def evidence(words: set, strong: dict, marked: frozenset, rates: tuple[float, float]) -> float:
+def evidence(words: set, strong: dict, marked: frozenset, rates: tuple[float, float], heads: set | None = None) -> float:
     """Log odds of a text: that of its strong words, or of how dense its words with marked beginnings are, whichever is higher."""
-    hit = {f for w in words for f in features(w) if f in strong}
-    k = sum(1 for w in words if any(f in marked for f in features(w)))
+    heads = {f[:3] for f in (*strong, *marked)} if heads is None else heads
+    near = [w for w in words if w[:3] in heads]
+    hit = {f for w in near for f in features(w) if f in strong}
+    k = sum(1 for w in near if any(f in marked for f in features(w)))
     bad, good = rates
     dense = k * math.log(bad / good) - len(words) * (bad - good) if k else 0.0
     return BIAS + max(sum(strong[f] for f in hit), dense)
@@ -121,11 +140,11 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int =
 
     def learning(batches):
         """Per feature and class: texts that have it, distinct words that carry it; "" counts texts and words."""
-        memo: dict = {}
+        restored = Restored(cost)
         texts, carriers = (Counter(), Counter()), (Counter(), Counter())
         for b in batches:
             for t, x in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
-                words, y = set(restore(t or "", cost, memo)), int(x > 0)
+                words, y = restored.words(t), int(x > 0)
                 found = Counter(f for w in words for f in features(w))
                 texts[y].update(found.keys())
                 carriers[y].update(found)
@@ -150,11 +169,11 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int =
 
     def density(batches):
         """Distinct words and those with a marked beginning, of toxic texts that have one and of clean texts."""
-        memo: dict = {}
+        restored = Restored(cost)
         out = [0, 0, 0, 0]
         for b in batches:
             for t, x in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
-                words = set(restore(t or "", cost, memo))
+                words = restored.words(t)
                 k = sum(1 for w in words if any(f in marked for f in features(w)))
                 if x <= 0 or k and not any(f in strong for w in words for f in features(w)):
                     out[2 * (x <= 0)] += k
@@ -165,10 +184,12 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int =
     clean = (c + 0.5) / (e + 1)
     rates = (max((a + 0.5) / (b + 1), clean), clean)
 
+    heads = {f[:3] for f in (*strong, *marked)}
+
     def scoring(batches):
-        memo: dict = {}
+        restored = Restored(cost)
         for b in batches:
-            odds = (evidence(set(restore(t or "", cost, memo)), strong, marked, rates) for t in b.column("text").to_pylist())
+            odds = (evidence(restored.words(t), strong, marked, rates, heads) for t in b.column("text").to_pylist())
             out = [1 / (1 + math.exp(-max(-30.0, min(30.0, x)))) for x in odds]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(out, pa.float64()), pa.array([int(x >= 0.7) for x in out], pa.int32())], names=["doc_id", "held_out", "score", "predicted"])
 
