@@ -7,6 +7,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ringlink.llm.common import settle
+
 #: Classes of a byte: letters, other signs, and one of the bytes of letters beyond ASCII.
 CLASSES = 32
 
@@ -76,7 +78,8 @@ def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: fl
     """
     d = docs.select("doc_id", "text", "lang")
     good = labels.where("quality = 1").select("doc_id").distinct()
-    counts = d.join(good, "doc_id", "left_semi").select("text", "lang").mapInArrow(_counting, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    # settled: each order of the model reads the counts, the limits and the result read the perplexities
+    counts = settle(d.join(good, "doc_id", "left_semi").select("text", "lang").mapInArrow(_counting, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")))
     dense: dict = {}
     for r in model(counts).select("lang", "gram", "p").toLocalIterator():  # languages times 32^4 at most
         dense.setdefault(r["lang"], np.zeros(CLASSES**4, np.float32))[r["gram"]] = r["p"]
@@ -94,7 +97,7 @@ def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: fl
                 out.append(None if p is None else float(np.exp(-p[_grams(_codes(t or ""))].mean(dtype=np.float64))))
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("lang"), pa.array(out, pa.float64())], names=["doc_id", "lang", "perplexity"])
 
-    scored = d.mapInArrow(scoring, "doc_id long, lang string, perplexity double")
+    scored = settle(d.mapInArrow(scoring, "doc_id long, lang string, perplexity double"))
     limits = scored.join(good, "doc_id", "left_semi").groupBy(F.col("lang").alias("l")).agg((F.percentile_approx("perplexity", quantile, 10_000) * slack).alias("threshold"))
     out = scored.join(F.broadcast(limits), F.col("lang").eqNullSafe(F.col("l")), "left")  # a row a language
     return out.select("doc_id", "lang", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)).alias("kept"))
