@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import bisect
+import functools
 import itertools
 import re
 import zlib
@@ -18,6 +19,7 @@ _PIECE = "struct<doc_id:bigint,piece:int,start:bigint,length:bigint,ids_crc32:bi
 BIN = f"total long, done boolean, pieces array<{_PIECE}>"
 _ARROW = pa.list_(pa.struct([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())]))
 _ODD = re.compile("[\x1c-\x1f]")  # white space to Python, not to the tokenizer
+_TAIL = re.compile(r"([^\W\d_]+)([.,!?;:#$%&*|]*)")
 
 
 class Ids(dict):
@@ -26,14 +28,23 @@ class Ids(dict):
     def __init__(self, path: str, most: int = 600_000) -> None:
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self.tokenizer, self.most, self.parts = Tokenizer.from_file(path), most, {}
 
     def __missing__(self, chunk: str) -> bytes:
         if len(self) >= self.most:
             self.clear()
-        out = self[chunk] = self.encode(chunk)
+        tail = _TAIL.fullmatch(chunk)  # the tokenizer parts a word from the signs after it
+        out = self[chunk] = self.part(tail[1]) + self.part(tail[2]) if tail and tail[1].lower().isalpha() else self.encode(chunk)
         return out
 
+    def part(self, word: str) -> bytes:
+        word = word.lower() if word.isascii() else word  # as the tokenizer does
+        if word not in self.parts:
+            if len(self.parts) >= self.most:
+                self.parts.clear()
+            self.parts[word] = self.encode(word)
+        return self.parts[word]
+
     def encode(self, text: str) -> bytes:
         return b"".join(i.to_bytes(4, "little") for i in self.tokenizer.encode(text, add_special_tokens=False).ids)
 
@@ -43,7 +54,10 @@ class Ids(dict):
         return b"".join(map(self.__getitem__, text.split()))
 
 
-_IDS: dict[str, Ids] = {}
+@functools.lru_cache
+def _ids(path: str) -> Ids:
+    """One cache a Python worker: a function of this module goes to workers by name, so all their tasks share it."""
+    return Ids(path)
 
 
 def _best_fit(items: list, limit: int) -> list[list]:
@@ -71,7 +85,7 @@ def _batch(bins, limit: int, slack: int) -> pa.RecordBatch:
 
 def _first(path: str, limit: int, end_id: int, slack: int, hold: int = 50_000):
     def packed(batches):
-        ids = _IDS.setdefault(path, None) or _IDS.__setitem__(path, Ids(path)) or _IDS[path]
+        ids = _ids(path)
         end, items, keys = end_id.to_bytes(4, "little"), [], itertools.count()
         for batch in batches:
             for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
