@@ -77,7 +77,8 @@ def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: fl
     empty texts are scored as one space. Grams that the model lacks take a floor of a hundredth of its least one.
     """
     d = docs.select("doc_id", "text", "lang")
-    good = labels.where("quality = 1").select("doc_id").distinct()
+    # labels grow with the documents: no broadcast; hashing needs no sort of the texts
+    good = labels.where("quality = 1").select("doc_id").distinct().hint("shuffle_hash")
     # settled: each order of the model reads the counts, the limits and the result read the perplexities
     counts = settle(d.join(good, "doc_id", "left_semi").select("text", "lang").mapInArrow(_counting, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")))
     dense: dict = {}
