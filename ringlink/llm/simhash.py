@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import itertools
+import math
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -14,20 +17,22 @@ from ringlink.llm.common import components, settle
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
-def fingerprint(text: str | None, shingle: int = 3) -> int:
-    """64 bits: a bit is set if over half of the shingles' XXH64 (seed 42) have it. Null or no word: 0."""
+def shingle_hashes(text: str | None, shingle: int) -> np.ndarray:
+    """XXH64 (seed 42) of each shingle, of all words where they are no more than one shingle has; no word: none."""
     words = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()  # bytes split at \x20 \x09-\x0D
-    if not words:
-        return 0
     n, h = len(words), xxhash.xxh64_intdigest
     if n <= shingle:
-        return h(b" ".join(words), 42)
+        return np.array([h(b" ".join(words), 42)] if words else [], np.uint64)
     if shingle == 3:
         parts = map(b"%b %b %b".__mod__, zip(words, words[1:], words[2:]))
     else:
         parts = map(b" ".join, zip(*(words[i:] for i in range(shingle))))
-    hashes = np.fromiter((h(p, 42) for p in parts), np.uint64, n - shingle + 1)
-    return majority(hashes)
+    return np.fromiter((h(p, 42) for p in parts), np.uint64, n - shingle + 1)
+
+
+def fingerprint(text: str | None, shingle: int = 3) -> int:
+    """64 bits: a bit is set if over half of the shingles' hashes have it. Null or no word: 0."""
+    return majority(shingle_hashes(text, shingle))
 
 
 def majority(hashes: np.ndarray) -> int:
@@ -148,3 +153,153 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, radius: int = 3) -> DataF
 
 def digest(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def _set(text: str | None, shingle: int) -> np.ndarray:
+    return np.unique(shingle_hashes(text, shingle).view(np.int64))
+
+
+def _key(held: np.ndarray) -> int:
+    return _signed(xxhash.xxh64_intdigest(held.tobytes(), 42))
+
+
+def _common(docs: DataFrame, shingle: int, part: int = 16, often: int = 4, most: int = 100_000) -> np.ndarray:
+    """Shingles that many texts have, from one text in `part`. They only order the prefixes: which ones are known changes the time, not the result."""
+
+    def each(batches):
+        for batch in batches:
+            held = [_set(t, shingle) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.int64), *held]))], names=["s"])
+
+    some = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(part)) == 0).select("text").mapInArrow(each, "s long")
+    counts = some.groupBy("s").agg(F.count("*").alias("n")).where(F.col("n") >= often)
+    return np.array(sorted(r["s"] for r in counts.orderBy(F.desc("n"), "s").limit(most).collect()), np.int64)
+
+
+def _prefixed(shingle: int, least: float, common: np.ndarray):
+    """Each text's set: its key, its size, and so many of its shingles, the common ones last, that two sets of
+    Jaccard `least` or more share one of them at least."""
+
+    def run(batches):
+        for batch in batches:
+            keys, sizes, prefixes = [], [], []
+            for t in batch.column("text").to_pylist():
+                held = _set(t, shingle)
+                late = np.isin(held, common)
+                keys.append(_key(held)), sizes.append(len(held))
+                prefixes.append(np.concatenate([held[~late], held[late]])[: len(held) - math.ceil(least * len(held) - 1e-9) + 1])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))], names=["doc_id", "key", "n", "prefix"])
+
+    return run
+
+
+def _buckets(batches):
+    """The sets that share a shingle, from rows sorted by shingle and key: one row a shingle that two sets have or more."""
+    rest = [np.zeros(0, np.int64) for _ in range(4)]
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            rest = [np.concatenate([r, batch.column(c).to_numpy(zero_copy_only=False)]) for r, c in zip(rest, ("s", "key", "n", "place"), strict=True)]
+        new = np.ones(len(rest[0]), bool)
+        new[1:] = (rest[0][1:] != rest[0][:-1]) | (rest[1][1:] != rest[1][:-1])  # exact copies are one set
+        s, *rest_ = rest = [r[new] for r in rest]
+        starts = np.nonzero(np.concatenate([[True], s[1:] != s[:-1]]))[0] if len(s) else np.zeros(0, np.int64)
+        ends = np.append(starts[1:], len(s))
+        if batch is not None:  # the last shingle may go on in the next batch
+            cut = int(starts[-1]) if len(starts) else 0
+            starts, ends = starts[:-1], ends[:-1]
+        else:
+            cut = len(s)
+        many = [(int(a), int(b)) for a, b in zip(starts[ends - starts > 1], ends[ends - starts > 1], strict=True)]
+        lists = [pa.array([r[a:b] for a, b in many], pa.list_(pa.int64())) for r in rest_]
+        yield pa.RecordBatch.from_arrays([pa.array([int(s[a]) for a, _ in many], pa.int64()), *lists], names=["s", "keys", "sizes", "places"])
+        rest = [r[cut:] for r in rest]
+
+
+def _first_pairs(batches):
+    """Pairs enough to connect each bucket if they hold: neighbours by size, and all with the smallest key."""
+    for batch in batches:
+        pairs = set()
+        for keys, sizes in zip(batch.column("keys").to_pylist(), batch.column("sizes").to_pylist(), strict=True):
+            row, low = [k for _, k in sorted(zip(sizes, keys, strict=True))], min(keys)
+            pairs.update((min(p), max(p)) for p in zip(row, row[1:]))
+            pairs.update((low, k) for k in row if k != low)
+        yield _pairs([np.array(sorted(pairs), np.int64).reshape(-1, 2)])
+
+
+def _pairs(parts: list[np.ndarray]) -> pa.RecordBatch:
+    both = np.concatenate([np.zeros((0, 2), np.int64), *parts])
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, i])) for i in (0, 1)], names=["a", "b"])
+
+
+def _other_pairs(least: float, block: int = 512):
+    """All pairs of a bucket that nothing connects yet and whose sizes and places allow `least`."""
+
+    def run(batches):
+        for batch in batches:
+            for members in batch.column("members").to_pylist():
+                key, n, place, label = (np.array([m[c] for m in members], np.int64) for c in ("key", "n", "place", "label"))
+                order = np.argsort(n, kind="stable")
+                key, n, place, label = key[order], n[order], place[order], label[order]
+                for at in range(0, len(n), block):
+                    i = np.arange(at, min(at + block, len(n)))[:, None]
+                    j = np.arange(at, np.searchsorted(n, n[i[-1, 0]] / least + 1e-9, "right"))[None, :]
+                    reach = np.minimum(n[i] - place[i], n[j] - place[j])  # shared at most, if this is the first shared one
+                    ok = (i < j) & (label[i] != label[j]) & (n[i] >= least * n[j] - 1e-9) & (reach * (1 + least) >= least * (n[i] + n[j]) - 1e-6)
+                    x, y = np.nonzero(ok)
+                    a, b = key[x + at], key[y + at]
+                    yield _pairs([np.stack([np.minimum(a, b), np.maximum(a, b)], 1)])
+
+    return run
+
+
+def _alike(least: float):
+    def run(batches):
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True):
+                x, y = np.frombuffer(x, np.int64), np.frombuffer(y, np.int64)
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(both >= least * (len(x) + len(y) - both) - 1e-9)
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return run
+
+
+def near_copies(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:
+    """(doc_id, component_id): component_id is the smallest doc_id that links reach; texts link when the Jaccard
+    similarity of their sets of word shingles is `least` or more, all such links, none else.
+
+    At .8 a fingerprint differs in about ten of its 64 bits with a wide spread, which no number of masks covers, so
+    candidates share a shingle of their prefixes instead. Links that hold among a few pairs of each bucket join the
+    big groups first; after that only pairs across groups are left to compare. Texts without a word are one class.
+    """
+    held = docs.select("doc_id", "text")
+    sets = settle(held.mapInArrow(_prefixed(shingle, least, _common(held, shingle)), "doc_id long, key long, n long, prefix array<long>"))
+    rows = sets.select("key", "n", F.posexplode("prefix").alias("place", "s")).select("s", "key", "n", F.col("place").cast("long").alias("place"))
+    lists = "s long, keys array<long>, sizes array<long>, places array<long>"
+    full = settle(rows.repartition("s").sortWithinPartitions("s", "key").mapInArrow(_buckets, lists))
+
+    def whole(batches):
+        for batch in batches:
+            all_ = [_set(t, shingle) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([_key(x) for x in all_], pa.int64()), pa.array([x.tobytes() for x in all_], pa.binary())], names=["key", "held"])
+
+    nodes = full.select(F.explode("keys").alias("key")).distinct()
+    whole_sets = settle(held.select("text").mapInArrow(whole, "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
+
+    def holding(pairs: DataFrame) -> DataFrame:
+        for side, name in (("a", "x"), ("b", "y")):
+            pairs = pairs.join(whole_sets.select(F.col("key").alias(side), F.col("held").alias(name)), side)
+        return pairs.select("a", "b", "x", "y").mapInArrow(_alike(least), "a long, b long")
+
+    tried = settle(full.mapInArrow(_first_pairs, "a long, b long").distinct())
+    found = settle(holding(tried))
+    groups = components(found)
+    members = full.select("s", F.explode(F.arrays_zip("keys", "sizes", "places")).alias("m")).select("s", F.col("m.keys").alias("key"), F.col("m.sizes").alias("n"), F.col("m.places").alias("place"))
+    members = members.join(groups, F.col("key") == F.col("node"), "left").withColumn("label", F.coalesce("component", "key"))
+    open_ = members.groupBy("s").agg(F.collect_list(F.struct("key", "n", "place", "label")).alias("members"), F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
+    others = open_.select("members").mapInArrow(_other_pairs(least), "a long, b long").distinct().join(tried, ["a", "b"], "left_anti")
+    groups = components(found.union(holding(others)))
+    named = sets.select("doc_id", "key").join(groups, F.col("key") == F.col("node"), "left").select("doc_id", F.coalesce("component", "key").alias("class"))
+    first = named.groupBy("class").agg(F.min("doc_id").alias("component_id"))
+    return named.join(first, "class").select("doc_id", "component_id")

@@ -26,6 +26,35 @@ def test_simhash_edges(spark):
     assert out[1]["fingerprint"] == "0" * 16 and out[2]["component_id"] == 1 and out[3]["fingerprint"] == out[4]["fingerprint"]
 
 
+def test_pipeline_near_copies_against_brute_force(spark):
+    import corpus_pipeline
+
+    rng = random.Random(5)
+    vocab = [f"w{i}" for i in range(300)]
+    texts = ["", "one two"]
+    for g in range(12):
+        words = [rng.choice(vocab) for _ in range(rng.choice((12, 60, 200)))]
+        for c in range(9):
+            copy = list(words)
+            for _ in range(rng.randint(0, max(1, len(words) // 40))):
+                copy[rng.randrange(len(copy))] = rng.choice(vocab)
+            texts.append(" ".join(copy[: len(copy) - rng.randint(0, len(copy) // 12)]) + (" all rights are reserved by us" if g < 6 else ""))
+    texts += [texts[5].upper(), None]
+    sets = [frozenset(simhash._set(t, 5).tolist()) for t in texts]
+    like = lambda x, y: x == y or len(x & y) >= 0.8 * len(x | y) - 1e-9
+    root = list(range(len(texts)))
+    for _ in texts:
+        for i in range(len(texts)):
+            root[i] = min(root[j] for j in range(len(texts)) if like(sets[i], sets[j]))
+    while any(root[r] != r for r in root):
+        root = [root[r] for r in root]
+    assert len(set(root)) < len(set(sets))  # near copies, not equal sets alone
+    rows = _docs(spark, list(enumerate(texts))).repartition(3)
+    assert {r["doc_id"]: r["component_id"] for r in simhash.near_copies(rows).collect()} == dict(enumerate(root))
+    kept = {r["doc_id"] for r in corpus_pipeline.simhash_dedup(spark, rows, "").collect()}
+    assert kept == set(root)
+
+
 def test_epsilon_grid_join_against_all_pairs(spark):
     rng = np.random.default_rng(3)
     base = rng.normal(size=(12, 16))
