@@ -60,21 +60,52 @@ def _located(text: Column, kind: str) -> Column:
 
 #: Forms that have a check of their own; what fails it is no identifier, whatever stands before it.
 _CHECKED = {"card": "^[0-9]{14,19}$", "ip": r"^[0-9]+(?:\.[0-9]+){3}$"}
-#: An unknown identifier: a word of seven characters or more with two digits, after a cue word.
-_CUE = r"(?<!\S)([^\s=:]{2,20}+)(?:\s*[=:]\s*[\x22\x27]?|[\x20]+)((?=[^\s\x22\x27]*[0-9][^\s\x22\x27]*[0-9])[A-Za-z0-9@._+/-]{7,64}+)"
+#: An unknown identifier: a word of seven characters or more with two digits.
+_ITEM = r"(?<![A-Za-z0-9@._+/-])(?=[A-Za-z@._+/-]*+[0-9][A-Za-z@._+/-]*+[0-9])[A-Za-z0-9@._+/-]{7,64}+(?![A-Za-z0-9@._+/-])"
+PATTERN["context"], GUARD["context"] = _ITEM, "[0-9]"
+_W, _S = r"[\p{L}\p{N}_]", r"[^\p{L}\p{N}_]"
+#: Contexts of an item: one to three words before it, one or two after it, with the signs between; at most 84 signs.
+_CONTEXTS = {f"l{k}": rf"(?<!{_W})(?:{_W}{{1,20}}+{_S}{{1,8}}+){{{k}}}$" for k in (1, 2, 3)} | {f"r{k}": rf"^(?:{_S}{{1,8}}+{_W}{{1,20}}+){{{k}}}" for k in (1, 2)}
+_WINDOW = 96
 
 
-def patterns(spans: DataFrame, rounds: int = 3, least: float = 0.6, support: int = 5) -> DataFrame:
-    """(cue, score) of the trusted lexical patterns. Base entities are the seeds; patterns and instances score each
-    other over the rounds: a pattern by the mean belief in its instances, an instance by its best pattern. A shape
-    starts with the share of seeds among its items, so forms that mostly fail their check (Luhn) lend no trust."""
-    pairs = settle(spans.groupBy("cue", "item", "shape").agg(F.max("seed").alias("seed"), F.count("*").alias("n")))
-    belief = pairs.groupBy("shape").agg(F.avg("seed").alias("belief"))
+def _contexts(text: Column, start: Column, end: Column) -> Column:
+    """The contexts of what stands from start to end, each marked with its side and length."""
+    first = F.greatest(start - _WINDOW, F.lit(0))
+    before, after = F.lower(F.substring(text, first + 1, start - first)), F.lower(F.substring(text, end + 1, F.lit(_WINDOW)))
+    found = ((k, F.regexp_replace(F.regexp_extract(before if k[0] == "l" else after, p, 0), r"\s+", " ")) for k, p in _CONTEXTS.items())
+    return F.array_compact(F.array(*(F.when(c != "", F.concat(F.lit(k + ":"), c)) for k, c in found)))
+
+
+def _items(text: Column, base: Column) -> Column:
+    """Base spans, and the identifier-like words that overlap none: start, kind, end, value."""
+    words = F.filter(_located(text, "context"), lambda m: ~F.exists(base, lambda b: (b["start"] < m["end"]) & (m["start"] < b["end"])))
+    return F.concat(base, words)
+
+
+def patterns(items: DataFrame, counts: DataFrame, rounds: int = 3, least: float = 0.6, support: int = 5) -> DataFrame:
+    """(context, score) of the trusted lexical patterns of items (context, item, class, seed) and word counts (word, n).
+
+    Base entities are the seeds (1), what fails its check is none (0), all else is unknown (null). Patterns and
+    instance classes (alphabet and length) score each other over the rounds: a class by its seeds among its checked
+    items, drawn to the share of seeds among all checked items, then by its best pattern; a pattern by the belief in
+    its items over the count of its rarest word, which no context exceeds: words that mostly stand elsewhere lend no
+    trust. A pattern needs `support` different items.
+    """
+    kinds = settle(items.groupBy("context", "class", "seed").agg(F.count("*").alias("n")))
+    per_class = settle(items.where("first").groupBy("class").agg(F.count_if(F.col("seed") == 1).alias("good"), F.count("seed").alias("known")))
+    whole = per_class.agg((F.coalesce(F.sum("good"), F.lit(0)) / (F.coalesce(F.sum("known"), F.lit(0)) + 1)).alias("share")).first()["share"]
+    belief = per_class.select("class", ((F.col("good") + 2 * F.lit(whole)) / (F.col("known") + 2)).alias("belief"))
+    enough = items.groupBy("context").agg(F.countDistinct("item").alias("different")).where(F.col("different") >= support).select("context")
+    parts = enough.select("context", F.explode(F.filter(F.split(F.substring("context", 4, 1 << 20), _S + "+"), lambda w: w != "")).alias("word"))
+    rarest = settle(parts.join(counts, "word").groupBy("context").agg(F.min("n").alias("of")))
+    kinds = settle(kinds.join(rarest, "context"))
     score = None
     for _ in range(rounds):
-        score = pairs.join(belief, "shape").groupBy("cue").agg((F.sum(F.col("belief") * F.col("n")) / F.sum("n")).alias("score"), F.sum("n").alias("n")).where(F.col("n") >= support)
-        score = settle(score.where(F.col("score") >= least).select("cue", "score"))
-        belief = pairs.join(score, "cue").groupBy("shape").agg(F.max("score").alias("belief")).union(belief).groupBy("shape").agg(F.max("belief").alias("belief"))
+        one = F.coalesce(F.col("seed").cast("double"), "belief")
+        score = kinds.join(belief, "class").groupBy("context").agg((F.sum(one * F.col("n")) / F.greatest(F.max("of"), F.sum("n"))).alias("score"))
+        score = settle(score.where(F.col("score") >= least))
+        belief = kinds.where("seed is null").join(score, "context").groupBy("class").agg(F.max("score").alias("belief")).union(belief).groupBy("class").agg(F.max("belief").alias("belief"))
         belief = settle(belief)
     return score
 
@@ -82,34 +113,25 @@ def patterns(spans: DataFrame, rounds: int = 3, least: float = 0.6, support: int
 def find(docs: DataFrame) -> DataFrame:
     """docs with `base` and `spans` (start, kind, end, value; code points, end exclusive), sorted.
 
-    Null text is empty. The base kinds are found row by row. Cue words and identifier-like words around form
-    the pattern graph, over all documents; its trusted cues mark further words as kind `context` when they
-    overlap no base span.
+    Null text is empty. The base kinds are found row by row. Base spans and identifier-like words with the contexts
+    around form the pattern graph, over all documents; every unknown word in a trusted context is of kind `context`.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
+    hash_ = F.xxhash64(text)
     base = F.array_sort(F.concat(*(_located(text, k) for k in KINDS[:4])))
-    digits = F.when(text.rlike("[0-9]"), F.regexp_extract_all(text, F.lit(_CUE), F.lit(0))).otherwise(F.array().cast("array<string>"))
-    pairs = docs.select(F.explode(digits).alias("hit")).select(F.lower(F.regexp_extract("hit", _CUE, 1)).alias("cue"), F.regexp_extract("hit", _CUE, 2).alias("item"))
-    item = F.col("item")
-    seed = F.when(item.rlike(_CHECKED["card"]), _holds("card", item)).when(item.rlike(_CHECKED["ip"]), _holds("ip", item)).otherwise(item.rlike("^" + PATTERN["email"] + "$"))
-    shape = F.regexp_replace(F.regexp_replace(F.col("item"), "[A-Za-z]+", "a"), "[0-9]+", "0")
-    trusted = patterns(pairs.select("cue", "item", shape.alias("shape"), seed.cast("int").alias("seed")))
-    cues = [r["cue"] for r in trusted.orderBy(F.desc("score"), "cue").limit(5_000).collect()]  # a lexicon of bounded size
-    more = F.array().cast(_SPAN)
-    if cues:
-        known = F.array(*map(F.lit, cues)) if len(cues) > 1 else F.array(F.lit(cues[0]))
-        checked = "|".join(_CHECKED.values())
-        hits = F.filter(digits, lambda h: F.array_contains(known, F.lower(F.regexp_extract(h, _CUE, 1))) & ~F.regexp_extract(h, _CUE, 2).rlike(checked))
-
-        def span(h: Column) -> Column:
-            item = F.regexp_extract(h, _CUE, 2)
-            at = F.call_function("locate", h, text) - 1 + F.length(h) - F.length(item)
-            return F.struct(at.alias("start"), F.lit(4).alias("kind"), (at + F.length(item)).alias("end"), item.alias("value"))
-
-        more = F.array_distinct(F.transform(hits, span))
-    out = docs.withColumn("base", base).withColumn("more", more)
-    clear = F.filter("more", lambda m: ~F.exists("base", lambda b: (b["start"] < m["end"]) & (m["start"] < b["end"])))
-    return out.withColumn("spans", F.array_sort(F.concat("base", clear))).drop("more")
+    rows = docs.where(text.rlike("[0-9]")).select(F.col("doc_id").alias("_d"), hash_.alias("_h"), text.alias("text"), base.alias("base"))
+    rows = rows.select("_d", "_h", "text", F.explode(_items(F.col("text"), F.col("base"))).alias("m"))
+    value = F.col("m.value")
+    kind = F.when(value.rlike("^[0-9]+$"), "d").when(value.rlike("^(?:[0-9a-f]+|[0-9A-F]+)$"), "h").when(value.rlike("^[A-Za-z0-9]+$"), "a").otherwise("s")
+    seed = F.when(F.col("m.kind") < 4, 1).when(value.rlike("|".join(_CHECKED.values())), 0)
+    items = rows.select("_d", "_h", "m", F.concat(kind, F.length(value)).alias("class"), seed.alias("seed"), F.posexplode(_contexts(F.col("text"), F.col("m.start"), F.col("m.end"))).alias("i", "context"))
+    items = settle(items)
+    counts = docs.select(F.explode(F.split(F.lower(text), _S + "+")).alias("word")).groupBy("word").agg(F.count("*").alias("n"))
+    trusted = patterns(items.select("context", F.col("m.value").alias("item"), "class", "seed", (F.col("i") == 0).alias("first")), counts)
+    more = items.where("seed is null").join(trusted.select("context"), "context", "left_semi").groupBy("_d", "_h").agg(F.collect_set("m").alias("more"))
+    out = docs.withColumn("base", base).withColumn("_hash", hash_)
+    out = out.join(more, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_hash") == F.col("_h")), "left")
+    return out.withColumn("spans", F.array_sort(F.concat("base", F.coalesce("more", F.array().cast(_SPAN))))).drop("more", "_hash", "_d", "_h")
 
 
 def _listed(spans: str) -> Column:

@@ -108,3 +108,19 @@ def test_pii_bootstrapping_trusts_no_form_that_fails_its_check(spark):
     out = {r["doc_id"]: r for r in pii.digest(_docs(spark, [*rows, (50, None)])).collect()}
     assert out[0]["n_card"] == 1 and out[5]["spans"] == "" and out[20]["n_email"] == 1
     assert out[40]["spans"] == "context:6:16" and out[50]["spans"] == ""
+
+
+def test_pii_reaches_recurring_contexts_and_every_occurrence(spark):
+    from ringlink.llm import pii
+
+    hex_ = ["ab3d" * 8 + f"{i * 7919 + 11:08x}" for i in range(8)]
+    rows = [(i, f'some words token = "{x}" more\nand token = "{x}" again') for i, x in enumerate(hex_)]
+    rows += [(20 + i, f"call +1 (017) 555-{1000 + i} please or card 4111 1111 1111 1111") for i in range(8)] + [(40, "call ab12cd34ef or xab12cd34ef, token of none"), (41, "id please x777x777x")]
+    rows += [(50 + i, f"the word stands before the word and the item{i}{i}x") for i in range(6)]
+    docs = _docs(spark, rows)
+    out = {r["doc_id"]: r["spans"] for r in pii.digest(docs).collect()}
+    for i, x in enumerate(hex_):
+        assert out[i] == ",".join(f"context:{m.start()}:{m.end()}" for m in re.finditer(x, rows[i][1]))
+    assert out[40] == "context:5:15" and all(out[50 + i] == "" for i in range(6))
+    text = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
+    assert not any(x in text[i] for i, x in enumerate(hex_)) and text[40] == "call [CONTEXT] or xab12cd34ef, token of none"
