@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -43,7 +45,7 @@ def _counting(batches):
 
 
 def model(counts: DataFrame) -> DataFrame:
-    """(lang, gram, p4, back) from the counts (lang, gram, n) of four signs, by joins of count tables.
+    """(lang, k, gram, p, back) of the seen grams of each order k, from the counts (lang, gram, n) of four signs, by joins of count tables.
 
     Orders below the highest count distinct left neighbours; each order has its three discounts from its counts of
     counts; unseen mass goes to the next order. All tables are bounded by languages times 32^4.
@@ -53,7 +55,7 @@ def model(counts: DataFrame) -> DataFrame:
     tables = [level]
     for k in (3, 2, 1):
         tables.append(tables[-1].groupBy("lang", F.expr(f"gram % {base**k}").alias("gram")).agg(F.count("*").alias("n")))
-    lower = None
+    lower, orders = None, []
     for k, t in zip((1, 2, 3, 4), tables[::-1], strict=True):
         of = t.groupBy("lang").agg(*(F.count_if(F.col("n") == i).alias(f"t{i}") for i in (1, 2, 3, 4)))
         y = F.col("t1") / (F.col("t1") + 2 * F.col("t2"))
@@ -62,31 +64,50 @@ def model(counts: DataFrame) -> DataFrame:
         ctx = cut.groupBy("lang", "ctx").agg(F.sum("n").alias("of_ctx"), F.sum("d").alias("gone")).withColumn("back", F.col("gone") / F.col("of_ctx"))
         rich = cut.join(ctx.select("lang", "ctx", "of_ctx", "back"), ["lang", "ctx"])
         if lower is None:
-            lower = rich.select("lang", "gram", ((F.col("n") - F.col("d")) / F.col("of_ctx") + F.col("back") / base).alias("p"), "back")
+            p = (F.col("n") - F.col("d")) / F.col("of_ctx") + F.col("back") / base
         else:
             low = lower.select("lang", F.col("gram").alias("short"), F.col("p").alias("p_low"))
-            lower = rich.withColumn("short", F.expr(f"gram % {base ** (k - 1)}")).join(low, ["lang", "short"]).select("lang", "gram", ((F.col("n") - F.col("d")) / F.col("of_ctx") + F.col("back") * F.col("p_low")).alias("p"), "back")
-    return lower
-
-
-def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: float = 1.5) -> DataFrame:
+            rich = rich.withColumn("short", F.expr(f"gram % {base ** (k - 1)}")).join(low, ["lang", "short"])
+            p = (F.col("n") - F.col("d")) / F.col("of_ctx") + F.col("back") * F.col("p_low")
+        lower = settle(rich.select("lang", F.lit(k).alias("k"), "gram", p.alias("p"), "back"))
+        orders.append(lower)
+    return functools.reduce(DataFrame.union, orders)
+
+
+def filled(rows) -> dict[str, np.ndarray]:
+    """Per language the probability of the last sign of every gram of four: seen grams as in the model; an unseen one
+    takes the next lower order at its context's weight, or at weight 1 where the context is unseen too."""
+    seen: dict = {}
+    for r in rows:
+        gram, p, back = seen.setdefault(r["lang"], {}).setdefault(r["k"], ([], [], []))
+        gram.append(r["gram"]), p.append(r["p"]), back.append(r["back"])
+    out = {}
+    for lang, orders in seen.items():
+        lower = np.full(1, 1 / CLASSES)
+        for k in (1, 2, 3, 4):
+            gram, p, back = (np.array(x) for x in orders[k])
+            weight = np.ones(CLASSES ** (k - 1))
+            weight[gram // CLASSES] = back
+            every = np.arange(CLASSES**k)
+            lower = weight[every // CLASSES] * lower[every % CLASSES ** (k - 1)]
+            lower[gram] = p
+        out[lang] = lower
+    return out
+
+
+def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995) -> DataFrame:
     """doc_id, lang, perplexity, threshold, kept of docs (doc_id, text, lang), one row each.
 
     Trusted text: documents labelled quality 1, all of them. A document is rejected where its perplexity is over
-    `slack` times its language's trusted `quantile`; without a trusted document of its language it stays. Null and
-    empty texts are scored as one space. Grams that the model lacks take a floor of a hundredth of its least one.
+    its language's trusted `quantile`; without a trusted document of its language it stays. Null and
+    empty texts are scored as one space. Grams that trusted text lacks back off to the lower orders.
     """
     d = docs.select("doc_id", "text", "lang")
     # labels grow with the documents: no broadcast; hashing needs no sort of the texts
     good = labels.where("quality = 1").select("doc_id").distinct().hint("shuffle_hash")
     # settled: each order of the model reads the counts, the limits and the result read the perplexities
     counts = settle(d.join(good, "doc_id", "left_semi").select("text", "lang").mapInArrow(_counting, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")))
-    dense: dict = {}
-    for r in model(counts).select("lang", "gram", "p").toLocalIterator():  # languages times 32^4 at most
-        dense.setdefault(r["lang"], np.zeros(CLASSES**4, np.float32))[r["gram"]] = r["p"]
-    for p in dense.values():
-        p[p <= 0] = p[p > 0].min() / 100
-        np.log(p, out=p)
+    dense = {lang: np.log(p).astype(np.float32) for lang, p in filled(model(counts).toLocalIterator()).items()}  # languages times 32^4 at most
     shared = docs.sparkSession.sparkContext.broadcast(dense)
 
     def scoring(batches):
@@ -99,6 +120,6 @@ def score(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: fl
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("lang"), pa.array(out, pa.float64())], names=["doc_id", "lang", "perplexity"])
 
     scored = settle(d.mapInArrow(scoring, "doc_id long, lang string, perplexity double"))
-    limits = scored.join(good, "doc_id", "left_semi").groupBy(F.col("lang").alias("l")).agg((F.percentile_approx("perplexity", quantile, 10_000) * slack).alias("threshold"))
+    limits = scored.join(good, "doc_id", "left_semi").groupBy(F.col("lang").alias("l")).agg(F.percentile_approx("perplexity", quantile, 10_000).alias("threshold"))
     out = scored.join(F.broadcast(limits), F.col("lang").eqNullSafe(F.col("l")), "left")  # a row a language
     return out.select("doc_id", "lang", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)).alias("kept"))

@@ -124,3 +124,18 @@ def test_pii_reaches_recurring_contexts_and_every_occurrence(spark):
     assert out[40] == "context:5:15" and all(out[50 + i] == "" for i in range(6))
     text = {r["doc_id"]: r["text"] for r in pii.redact(docs).collect()}
     assert not any(x in text[i] for i, x in enumerate(hex_)) and text[40] == "call [CONTEXT] or xab12cd34ef, token of none"
+
+
+def test_quality_backs_off_to_lower_orders(spark):
+    from ringlink.llm import quality_lm
+
+    text = "the cat sat on the mat and the dog ran to the cat " * 3
+    g, n = np.unique(quality_lm._grams(quality_lm._codes(text)), return_counts=True)
+    counts = spark.createDataFrame([("en", int(a), int(b)) for a, b in zip(g, n, strict=True)], "lang string, gram long, n long")
+    p = quality_lm.filled(quality_lm.model(counts).collect())["en"]
+    assert p.min() > 0 and np.allclose(p.reshape(-1, quality_lm.CLASSES).sum(1), 1)  # seen and unseen contexts alike
+    unseen = np.setdiff1d(np.arange(len(p)), g)
+    assert len(np.unique(p[unseen].round(9))) > 10
+    docs = spark.createDataFrame([(i, text[i:], "en") for i in range(20)], "doc_id long, text string, lang string")
+    out = quality_lm.score(docs, spark.createDataFrame([(i, 1) for i in range(20)], "doc_id long, quality int"), quantile=0.5).collect()
+    assert out[0]["threshold"] in {r["perplexity"] for r in out} and {r["kept"] for r in out} == {True, False}
