@@ -195,10 +195,10 @@ def _prefixed(shingle: int, least: float, common: np.ndarray):
 
 def _buckets(batches):
     """The sets that share a shingle, from rows sorted by shingle and key: one row a shingle that two sets have or more."""
-    rest = [np.zeros(0, np.int64) for _ in range(4)]
+    rest = [np.zeros(0, np.int64) for _ in range(3)]
     for batch in itertools.chain(batches, [None]):
         if batch is not None:
-            rest = [np.concatenate([r, batch.column(c).to_numpy(zero_copy_only=False)]) for r, c in zip(rest, ("s", "key", "n", "place"), strict=True)]
+            rest = [np.concatenate([r, batch.column(c).to_numpy(zero_copy_only=False)]) for r, c in zip(rest, ("s", "key", "n"), strict=True)]
         new = np.ones(len(rest[0]), bool)
         new[1:] = (rest[0][1:] != rest[0][:-1]) | (rest[1][1:] != rest[1][:-1])  # exact copies are one set
         s, *rest_ = rest = [r[new] for r in rest]
@@ -211,43 +211,53 @@ def _buckets(batches):
             cut = len(s)
         many = [(int(a), int(b)) for a, b in zip(starts[ends - starts > 1], ends[ends - starts > 1], strict=True)]
         lists = [pa.array([r[a:b] for a, b in many], pa.list_(pa.int64())) for r in rest_]
-        yield pa.RecordBatch.from_arrays([pa.array([int(s[a]) for a, _ in many], pa.int64()), *lists], names=["s", "keys", "sizes", "places"])
+        yield pa.RecordBatch.from_arrays([pa.array([int(s[a]) for a, _ in many], pa.int64()), *lists], names=["s", "keys", "sizes"])
         rest = [r[cut:] for r in rest]
 
 
-def _first_pairs(batches):
+def _needed(x: np.ndarray, y: np.ndarray, least: float) -> np.ndarray:
+    """How many shingles two prefixes must share if sets of sizes x, y reach `least`: all they share, but for those behind the prefix that ends first."""
+    behind = np.ceil(least * np.maximum(x, y) - 1e-9) - 1
+    return np.maximum(1, np.ceil(least / (1 + least) * (x + y) - 1e-6) - behind).astype(np.int64)
+
+
+def _pairs(key, n, i, j, least: float) -> pa.RecordBatch:
+    a, b, need = key[i], key[j], _needed(n[i], n[j], least)
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in (np.minimum(a, b), np.maximum(a, b), need)], names=["a", "b", "need"])
+
+
+def _first_pairs(least: float):
     """Pairs enough to connect each bucket if they hold: neighbours by size, and all with the smallest key."""
-    for batch in batches:
-        pairs = set()
-        for keys, sizes in zip(batch.column("keys").to_pylist(), batch.column("sizes").to_pylist(), strict=True):
-            row, low = [k for _, k in sorted(zip(sizes, keys, strict=True))], min(keys)
-            pairs.update((min(p), max(p)) for p in zip(row, row[1:]))
-            pairs.update((low, k) for k in row if k != low)
-        yield _pairs([np.array(sorted(pairs), np.int64).reshape(-1, 2)])
 
+    def run(batches):
+        for batch in batches:
+            for keys, sizes in zip(batch.column("keys").to_pylist(), batch.column("sizes").to_pylist(), strict=True):
+                key, n = np.array(keys, np.int64), np.array(sizes, np.int64)
+                order = np.lexsort((key, n))
+                key, n = key[order], n[order]
+                low, at = int(np.argmin(key)), np.arange(len(key))
+                pairs = np.unique(np.sort(np.concatenate([np.stack([at[:-1], at[1:]], 1), np.stack([np.full(len(at), low), at], 1)]), axis=1), axis=0)
+                i, j = pairs[:, 0], pairs[:, 1]
+                ok = (i < j) & (n[i] >= least * n[j] - 1e-9)
+                yield _pairs(key, n, i[ok], j[ok], least)
 
-def _pairs(parts: list[np.ndarray]) -> pa.RecordBatch:
-    both = np.concatenate([np.zeros((0, 2), np.int64), *parts])
-    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, i])) for i in (0, 1)], names=["a", "b"])
+    return run
 
 
 def _other_pairs(least: float, block: int = 512):
-    """All pairs of a bucket that nothing connects yet and whose sizes and places allow `least`."""
+    """All pairs of a bucket that nothing connects yet and whose sizes allow `least`."""
 
     def run(batches):
         for batch in batches:
             for members in batch.column("members").to_pylist():
-                key, n, place, label = (np.array([m[c] for m in members], np.int64) for c in ("key", "n", "place", "label"))
+                key, n, label = (np.array([m[c] for m in members], np.int64) for c in ("key", "n", "label"))
                 order = np.argsort(n, kind="stable")
-                key, n, place, label = key[order], n[order], place[order], label[order]
+                key, n, label = key[order], n[order], label[order]
                 for at in range(0, len(n), block):
                     i = np.arange(at, min(at + block, len(n)))[:, None]
                     j = np.arange(at, np.searchsorted(n, n[i[-1, 0]] / least + 1e-9, "right"))[None, :]
-                    reach = np.minimum(n[i] - place[i], n[j] - place[j])  # shared at most, if this is the first shared one
-                    ok = (i < j) & (label[i] != label[j]) & (n[i] >= least * n[j] - 1e-9) & (reach * (1 + least) >= least * (n[i] + n[j]) - 1e-6)
-                    x, y = np.nonzero(ok)
-                    a, b = key[x + at], key[y + at]
-                    yield _pairs([np.stack([np.minimum(a, b), np.maximum(a, b)], 1)])
+                    x, y = np.nonzero((i < j) & (label[i] != label[j]) & (n[i] >= least * n[j] - 1e-9))
+                    yield _pairs(key, n, x + at, y + at, least)
 
     return run
 
@@ -275,31 +285,38 @@ def near_copies(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFr
     """
     held = docs.select("doc_id", "text")
     sets = settle(held.mapInArrow(_prefixed(shingle, least, _common(held, shingle)), "doc_id long, key long, n long, prefix array<long>"))
-    rows = sets.select("key", "n", F.posexplode("prefix").alias("place", "s")).select("s", "key", "n", F.col("place").cast("long").alias("place"))
-    lists = "s long, keys array<long>, sizes array<long>, places array<long>"
+    rows = sets.select("key", "n", F.explode("prefix").alias("s")).select("s", "key", "n")
+    lists = "s long, keys array<long>, sizes array<long>"
     full = settle(rows.repartition("s").sortWithinPartitions("s", "key").mapInArrow(_buckets, lists))
 
-    def whole(batches):
-        for batch in batches:
-            all_ = [_set(t, shingle) for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array([_key(x) for x in all_], pa.int64()), pa.array([x.tobytes() for x in all_], pa.binary())], names=["key", "held"])
-
-    nodes = full.select(F.explode("keys").alias("key")).distinct()
-    whole_sets = settle(held.select("text").mapInArrow(whole, "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
-
-    def holding(pairs: DataFrame) -> DataFrame:
+    def whole(few):
+        def run(batches):
+            for batch in batches:
+                all_ = [_set(t, shingle) for t in batch.column("text").to_pylist()]
+                some = [(k, h.tobytes()) for h in all_ for k in [_key(h)] if few is None or k in few]
+                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in some], pa.int64()), pa.array([h for _, h in some], pa.binary())], names=["key", "held"])
+
+        return run
+
+    def holding(counted: DataFrame, done: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+        """The pairs that share enough of their prefixes, and those of them that hold."""
+        tried = counted.groupBy("a", "b", "need").agg(F.count("*").alias("c")).where("c >= need").select("a", "b")
+        tried = settle(tried.join(done, ["a", "b"], "left_anti") if done is not None else tried)
+        nodes = tried.select(F.explode(F.array("a", "b")).alias("key")).distinct()
+        few = {r["key"] for r in nodes.collect()} if nodes.count() <= 300_000 else None  # drops sets before the shuffle; more keys are left to the join
+        sets_ = settle(held.select("text").mapInArrow(whole(few), "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
+        pairs = tried
         for side, name in (("a", "x"), ("b", "y")):
-            pairs = pairs.join(whole_sets.select(F.col("key").alias(side), F.col("held").alias(name)), side)
-        return pairs.select("a", "b", "x", "y").mapInArrow(_alike(least), "a long, b long")
+            pairs = pairs.join(sets_.select(F.col("key").alias(side), F.col("held").alias(name)), side)
+        return tried, settle(pairs.select("a", "b", "x", "y").mapInArrow(_alike(least), "a long, b long"))
 
-    tried = settle(full.mapInArrow(_first_pairs, "a long, b long").distinct())
-    found = settle(holding(tried))
+    tried, found = holding(full.mapInArrow(_first_pairs(least), "a long, b long, need long"))
     groups = components(found)
-    members = full.select("s", F.explode(F.arrays_zip("keys", "sizes", "places")).alias("m")).select("s", F.col("m.keys").alias("key"), F.col("m.sizes").alias("n"), F.col("m.places").alias("place"))
+    members = full.select("s", F.explode(F.arrays_zip("keys", "sizes")).alias("m")).select("s", F.col("m.keys").alias("key"), F.col("m.sizes").alias("n"))
     members = members.join(groups, F.col("key") == F.col("node"), "left").withColumn("label", F.coalesce("component", "key"))
-    open_ = members.groupBy("s").agg(F.collect_list(F.struct("key", "n", "place", "label")).alias("members"), F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
-    others = open_.select("members").mapInArrow(_other_pairs(least), "a long, b long").distinct().join(tried, ["a", "b"], "left_anti")
-    groups = components(found.union(holding(others)))
+    open_ = members.groupBy("s").agg(F.collect_list(F.struct("key", "n", "label")).alias("members"), F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
+    others = open_.select("members").mapInArrow(_other_pairs(least), "a long, b long, need long")
+    groups = components(found.union(holding(others, tried)[1]))
     named = sets.select("doc_id", "key").join(groups, F.col("key") == F.col("node"), "left").select("doc_id", F.coalesce("component", "key").alias("class"))
     first = named.groupBy("class").agg(F.min("doc_id").alias("component_id"))
     return named.join(first, "class").select("doc_id", "component_id")
