@@ -1,4 +1,4 @@
-"""The linkage queries and their DuckDB counterparts."""
+"""The linkage queries by name. Their DuckDB counterparts are in `oracles`, the engine's surroundings in `surround`."""
 
 from __future__ import annotations
 
@@ -6,123 +6,242 @@ from dataclasses import replace
 
 from pyspark.sql import functions as F
 
+from ringlink import oracles, surround
+from ringlink import workloads as K
 from ringlink.operators import baselines as B
+from ringlink.operators import blocking, compare, ring
 from ringlink.operators import corruption as C
+from ringlink.operators import encoding as E
+from ringlink.operators import exchange as X
 from ringlink.operators import linkage as L
 from ringlink.operators import measures as M
+from ringlink.operators import registers as R
+from ringlink.plans.physical import settle
 from ringlink.spec import LinkageSpec
 
+S3 = K.spec_for(3)
+#: Short filters, where pieces collide and attacks have something to find.
+SHORT = LinkageSpec(length=100, hashes=3)
+WEIGHTS = (2, 3, 1, 2)
+
 
 def people(spark, d):
     return spark.read.parquet(f"{d}/customer.parquet").select(F.col("c_custkey").alias("entity"), F.col("c_nationkey").alias("nation"))
 
 
-def spec_for(parties: int) -> LinkageSpec:
-    """Surname blocks for three parties, given name and surname beyond, where surname blocks would explode."""
-    return LinkageSpec(parties=parties, block_keys=("surname",) if parties == 3 else ("given", "surname"))
+def register(spark, d, parties=3):
+    return R.make_register(people(spark, d), parties)
 
 
-def register(spark, d, parties=3):
-    return L.make_register(people(spark, d), parties)
+def dirty(spark, d, parties=3, rate=20):
+    return C.corrupt_register(register(spark, d, parties), parties, rate)
 
 
-def encoded(spark, d, spec):
-    return L.encode_register(register(spark, d, spec.parties), spec)
+def encoded(spark, d, s):
+    return E.encode_register(register(spark, d, s.parties), s)
 
 
-def view(spark, d, spec):
-    return L.exchange_segments(encoded(spark, d, spec), spec)
+def view(spark, d, s):
+    return X.exchange_segments(encoded(spark, d, s), s)
 
 
-#: Blocks that DuckDB can build too, for comparisons row by row.
-PREFIX = LinkageSpec(block_fn="prefix:4")
+def settled_view(spark, d, s):
+    return settle(view(spark, d, s))
 
 
-def dirty(spark, d, parties, rate):
-    return C.corrupt_register(register(spark, d, parties), parties, rate)
+def _shown(df, s):
+    return df.select("party", "rid", E.listed(E.places(s)).alias("places"), "x_own")
 
 
-def _references() -> dict:
-    s, out = PREFIX, {}
-    sets = lambda k, d: L.candidate_count(encoded(k, d, s), s)
-    kept = lambda k, d: L.partial_counts(view(k, d, s), s, prune=True)
-    out["match_approx_prefix"] = lambda k, d: L.link(register(k, d), s)
-    out["candidate_count_prefix"] = sets
-    out["central_dice"] = lambda k, d: B.central(encoded(k, d, s), s)
-    for kind in ("jaccard", "overlap", "cosine"):
-        out[f"central_{kind}"] = lambda k, d, kind=kind: B.central(encoded(k, d, s), s, kind)
-    out["clear_qgram_dice"] = lambda k, d: B.clear_qgrams(register(k, d), s)
-    out["clear_exact"] = lambda k, d: B.clear_exact(register(k, d), s)
-    out["equal_filters"] = lambda k, d: B.equal_filters(encoded(k, d, s), s)
-    out["fill_ratio"] = lambda k, d: M.fill_ratio(encoded(k, d, s), s)
-    out["reduction_ratio"] = lambda k, d: M.reduction_ratio(register(k, d), sets(k, d))
-    out["filter_reduction"] = lambda k, d: M.filter_reduction(kept(k, d), sets(k, d), s.parties)
-    out["bit_sensitivity"] = lambda k, d: M.bit_sensitivity(register(k, d), s, lambda g: L.positions(g, s))
-    out["rotating_ring"] = lambda k, d: M.rotating_ring(kept(k, d), s)
-    out["best_per_record"] = lambda k, d: M.best_per_record(L.link(register(k, d), s), s.parties)
-    out["perturbed_fill"] = lambda k, d: M.fill_ratio(M.perturb(encoded(k, d, s), s, 0.05), s)
+def _candidate_rows(df, s):
+    return df.select("holder", ring.candidate(s).alias("cand"), "c", "x")
+
+
+def _encoding() -> dict:
+    reg = lambda p: lambda k, d: register(k, d, p).select("party", "rid", "entity", "given", "surname", "suburb", "postcode")
+    parts = lambda k, d: k.read.parquet(f"{d}/part.parquet").select("p_partkey", "p_name")
+    grams = lambda k, d: parts(k, d).select(F.explode(E.qgrams(E.clean(F.col("p_name")))).alias("gram")).distinct()
+    out = {f"register_p{p}": reg(p) for p in (3, 5, 7)}
+
+    def orders(k, d):
+        keys = k.read.parquet(f"{d}/orders.parquet").select(F.col("o_orderkey").alias("entity"))
+        r = R.make_register(R.keyed_people(keys), 3)
+        return r.groupBy("party").agg(F.count("*").alias("n"), F.count_if(F.pmod("entity", F.lit(4)) == 0).alias("shared"), F.countDistinct("given", "surname").alias("names"))
+
+    out["register_orders"] = orders
+    out["register_products"] = lambda k, d: R.product_register(k.read.parquet(f"{d}/part.parquet"), 3).select("party", "rid", "entity", "name", "brand", "kind", "size")
+    out["size_series"] = lambda k, d: R.size_series(people(k, d), (500, 1000, 1500), 3)
+    out["true_sets"] = lambda k, d: R.true_sets(register(k, d), S3)
     for rate in (20, 40):
-        out[f"corrupted_register_{rate}"] = lambda k, d, rate=rate: dirty(k, d, 3, rate)
-        for mode in ("approx", "approx_filtered"):
-            out[f"quality_{mode}_{rate}"] = lambda k, d, rate=rate, mode=mode: L.quality(L.link(dirty(k, d, 3, rate), spec_for(3), mode), L.true_sets(register(k, d), s))
-        out[f"quality_exact_{rate}"] = lambda k, d, rate=rate: L.quality(B.equal_filters(L.encode_register(dirty(k, d, 3, rate), s), s), L.true_sets(register(k, d), s))
+        out[f"corrupt_{rate}"] = lambda k, d, rate=rate: dirty(k, d, 3, rate).select("party", "rid", "entity", "given", "surname", "suburb", "postcode", "corrupted")
+
+    def edits(k, d):
+        at, ch, c = "3", "'x'", "p_name"
+        kinds = {"insert": C.edit_insert(c, at, ch), "delete": C.edit_delete(c, at), "substitute": C.edit_substitute(c, at, ch), "transpose": C.edit_transpose(c, at), "ocr": C.ocr_confuse(c, "p_partkey"), "phonetic": C.phonetic_rewrite(c, "p_partkey")}
+        rows = F.array(*(F.struct(F.lit(n).alias("op"), F.expr(v).alias("after")) for n, v in kinds.items()))
+        return parts(k, d).select("p_partkey", F.col("p_name").alias("before"), F.explode(rows).alias("e")).select("p_partkey", "e.op", "before", "e.after")
+
+    out["corrupt_ops"] = edits
+    out["corrupt_rate_audit"] = lambda k, d: C.corruption_audit(register(k, d), dirty(k, d), 3)
+    for name, q, pad in (("2", 2, ""), ("3", 3, ""), ("padded", 2, "_")):
+        out[f"qgrams_{name}"] = lambda k, d, q=q, pad=pad: parts(k, d).select("p_partkey", F.explode(E.qgrams(E.clean(F.col("p_name")), q, pad)).alias("gram"))
+    for name, scheme, secret in (("independent", "independent", ""), ("double", "double", ""), ("keyed", "independent", "key")):
+        out[f"positions_{name}"] = lambda k, d, scheme=scheme, secret=secret: grams(k, d).select("gram", F.posexplode(E.hash_positions(F.col("gram"), 501, 20, secret, scheme)).alias("i", "pos"))
+    out["bloom_string"] = lambda k, d: parts(k, d).withColumn("p", E.bloom_positions(F.col("p_name"), 501, 20)).select("p_partkey", E.listed(F.col("p")).alias("positions"), F.size("p").alias("ones"))
+    for name in ("shared", "sampled", "weighted_shared"):
+        s = replace(S3, encoding=name, weights=() if name == "shared" else WEIGHTS)
+        out["encode_" + name.replace("_shared", "")] = lambda k, d, s=s: _shown(encoded(k, d, s), s)
+    out["encode_attribute"] = lambda k, d: E.encode_attributes(register(k, d), S3).select("party", "rid", "attr", E.listed(E.places(S3)).alias("places"), "ones")
+    out["weights"] = lambda k, d: E.attribute_weights(dirty(k, d), S3)
+    out["segments"] = lambda k, d: X.split_segments(encoded(k, d, S3), S3).select("party", "rid", "piece", E.listed(X.piece_places(S3)).alias("places"), "seg_ones")
+    out["exchange"] = lambda k, d: X.exposure_audit(view(k, d, S3), S3)
+    out["perturb"] = lambda k, d: E.perturb(encoded(k, d, S3), S3, (5, 100)).select("party", "rid", "flipped", F.col("x_own").alias("x_after"))
+    out["perturbed_fill"] = lambda k, d: M.fill_ratio(E.perturb(encoded(k, d, S3), S3, (5, 100)), S3)
+    out["tokens"] = lambda k, d: encoded(k, d, S3).select("rid", E.tokenise(F.col("rid"), "rid", "").alias("rid_token"), E.tokenise(F.col("bkv"), "bkv", "").alias("bkv_token"))
+    key = "0123456789abcdef"
+    out["encrypted_ids"] = lambda k, d: register(k, d).select("rid", E.encrypt_rid(F.col("rid"), key).alias("sealed")).select("rid", E.decrypt_rid(F.col("sealed"), key).alias("opened"), (F.col("sealed") != F.col("rid")).alias("hidden"))
+    out["bloom_theory"] = lambda k, d: E.bloom_theory(register(k, d), encoded(k, d, S3), S3)
+    out["fill_ratio"] = lambda k, d: M.fill_ratio(encoded(k, d, S3), S3)
     return out
 
 
-def queries() -> dict:
-    out = _references()
+def _blocking() -> dict:
+    out = {}
+    keys = {"surname": (("surname",), "soundex"), "compound": (("given", "surname"), "soundex"), "prefix": (("surname",), "prefix:4"), "exact": (("surname",), "exact"), "none": ((), "none")}
+    for name, (cols, fn) in keys.items():
+        out[f"block_{name}"] = lambda k, d, cols=cols, fn=fn: blocking.block_counts(register(k, d).select("party", blocking.block_key(cols, fn).alias("bkv")))
+    rows = lambda k, d, cols=("surname",), fn="soundex": register(k, d).select("party", "rid", blocking.block_key(cols, fn).alias("bkv"))
+
+    def passes(k, d):
+        sets = [blocking.enumerate_candidates(rows(k, d, *p), 3).select(blocking.named(3)) for p in ((("given", "surname"), "soundex"), (("surname",), "prefix:4"))]
+        return blocking.union_passes(sets)
+
+    out["block_multipass"] = passes
+    out["shared_blocks"] = lambda k, d: blocking.shared_block_keys(rows(k, d), 3)
+    out["candidates"] = lambda k, d: blocking.enumerate_candidates(rows(k, d), 3).select(blocking.named(3))
+    out["candidate_count"] = lambda k, d: K.candidate_series(people(k, d), (500, 1000, 1500))
+    products = lambda k, d: R.product_register(k.read.parquet(f"{d}/part.parquet"), 3)
+    out["block_guard"] = lambda k, d: blocking.guard_blocks(products(k, d).select("party", F.col("name").alias("bkv")), 3, 5000)
+
+    def split(k, d):
+        cut = blocking.split_blocks(products(k, d).select("party", "brand", F.col("name").alias("bkv")), 3, 5000, "brand")
+        return blocking.block_sizes(cut, 3)
+
+    out["block_split"] = split
+    out["rr"] = lambda k, d: M.reduction_ratio(register(k, d), blocking.candidate_count(rows(k, d), 3))
+    return out
+
+
+def _protocol() -> dict:
+    out = {"dice_pairs": lambda k, d: compare.dice_pairs(encoded(k, d, S3), S3)}
     for p in (3, 5, 7):
-        s = spec_for(p)
-        out[f"register_p{p}"] = lambda k, d, p=p: register(k, d, p).select("party", "rid", "entity", "given", "surname", "suburb", "postcode")
+        s = K.spec_for(p)
+        out[f"dice_multi_p{p}"] = lambda k, d, s=s: L.central(encoded(k, d, s), s)
         out[f"match_approx_p{p}"] = lambda k, d, s=s: L.link(register(k, d, s.parties), s)
         out[f"match_filtered_p{p}"] = lambda k, d, s=s: L.link(register(k, d, s.parties), s, "approx_filtered")
-        out[f"disclosure_p{p}"] = lambda k, d, s=s: L.disclosure(view(k, d, replace(s, length=100, hashes=3)), replace(s, length=100, hashes=3))
-        out[f"candidate_count_p{p}"] = lambda k, d, s=s: L.candidate_count(encoded(k, d, s), s)
-        out[f"quality_p{p}"] = lambda k, d, s=s: L.quality(L.link(register(k, d, s.parties), s), L.true_sets(register(k, d, s.parties), s))
-    s = spec_for(3)
-    out["encode_shared"] = lambda k, d: encoded(k, d, s).select("party", "rid", F.concat_ws(" ", F.col("places").cast("array<string>")).alias("places"), "x_own")
-    out["match_exact"] = lambda k, d: L.exact_conjunction(register(k, d), s)
-    out["ring_transcript"] = lambda k, d: L.ring_transcript(L.partial_counts(view(k, d, s), s, prune=True), s)
+        out[f"quality_grid_p{p}"] = lambda k, d, s=s: K.quality_grid(register(k, d, s.parties), s)
+        out[f"cost_compare_p{p}"] = lambda k, d, s=s: K.cost_compare(register(k, d, s.parties), s)
+    for name in ("sampled", "weighted_shared"):
+        s = replace(S3, encoding=name, weights=WEIGHTS)
+        out["match_" + name.replace("_shared", "")] = lambda k, d, s=s: L.link(dirty(k, d), s)
+    for kind in ("jaccard", "overlap", "cosine"):
+        out[f"sim_{kind}"] = lambda k, d, kind=kind: L.central(encoded(k, d, S3), S3, kind=kind).select("cand", "sim")
+
+    def distributed(k, d):
+        rows = compare.partial_counts(settled_view(k, d, S3), S3).select("holder", ring.candidate(S3).alias("cand"), "c", "x")
+        return rows.groupBy("cand").agg(*(F.sum(F.when(F.col("holder") == h, F.col("c"))).alias(f"c{h}") for h in (1, 2, 3)), F.sum("c").alias("c"), F.sum("x").alias("x"))
+
+    out["dice_distributed"] = distributed
+    out["partial_counts"] = lambda k, d: _candidate_rows(compare.partial_counts(settled_view(k, d, S3), S3), S3)
+    loose = replace(S3, seg_threshold=(3, 5))
+    zero = replace(S3, seg_threshold=(0, 5))
+    for name, s, prune, order in (("st", S3, "prefix", "id"), ("loose", loose, "prefix", "id"), ("zero", zero, "prefix", "id"), ("final", S3, "final", "id"), ("order", S3, "prefix", "small_first")):
+        out[f"filter_{name}"] = lambda k, d, s=s, prune=prune, order=order: _candidate_rows(compare.partial_counts(settled_view(k, d, s), s, prune, order), s)
+    out["filter_bound"] = lambda k, d: _candidate_rows(compare.bounded_counts(settled_view(k, d, S3), S3), S3)
+    out["match_bound"] = lambda k, d: L.link(register(k, d), S3, "bound")
+    out["ring_example"] = lambda k, d: ring.ring_sum(k.createDataFrame([(1, 11), (2, 7), (3, 15)], "party int, value long"), 3, 1, 20)[0].unionByName(ring.ring_sum(k.createDataFrame([(1, 11), (2, 7), (3, 15)], "party int, value long"), 3, 1, 20)[1].select(F.lit(4).alias("hop"), F.lit(1).alias("sender"), F.lit(1).alias("receiver"), F.col("total").alias("message")))
+    kept = lambda k, d: compare.partial_counts(settled_view(k, d, S3), S3)
+    for name, who in (("transcript", "one"), ("rotate", "rotate"), ("external", "external")):
+        out[f"ring_{name}"] = lambda k, d, who=who: ring.ring_transcript(kept(k, d), S3, "k1", who)
+
+    def modular(k, d):
+        """Every scheme's unmasked totals beside plain sums."""
+        counts = settle(kept(k, d))
+        plain = counts.groupBy(ring.candidate(S3).alias("cand")).agg(F.sum("c").alias("c"), F.sum("x").alias("x"))
+        for who in ("one", "rotate", "external"):
+            read = ring.unmask(ring.ring_totals(counts, S3, "k1", who), "k1", who)
+            plain = plain.join(read.select("cand", F.col("c").alias(f"c_{who}"), F.col("x").alias(f"x_{who}")), "cand")
+        return plain
+
+    out["ring_modular"] = modular
+    out["match_rotate"] = lambda k, d: L.link(register(k, d), S3, initiator="rotate")
+    out["match_external"] = lambda k, d: L.link(register(k, d), S3, initiator="external")
+    out["match_split"] = lambda k, d: L.link(register(k, d), S3, most=500, finer="given")
+    out["match_subsets"] = lambda k, d: L.link_subsets(register(k, d), S3, 2)
+    out["match_best"] = lambda k, d: L.best_per_record(L.link(register(k, d), S3), 3)
+    out["match_topk"] = lambda k, d: L.top_matches(L.link(register(k, d), S3), register(k, d).select("rid", blocking.block_key(("surname",)).alias("bkv")), 2)
     return out
 
 
-def _register_sql(p: int) -> str:
-    lit = lambda words: "[" + ",".join(f"'{w}'" for w in words) + "]"
-    pick = lambda words, h, i: f"({lit(words)})[('0x'||substr({h},{i},1))::INT+1]"
-    return f"""k AS (SELECT c_custkey AS entity, c_nationkey AS nation, md5('e'||c_custkey::VARCHAR) AS e, md5('n'||c_nationkey::VARCHAR) AS n, (c_custkey % {p + 1})::INT AS r FROM customer),
-reg AS (SELECT party::INT AS party, chr(64+party::INT)||'-'||entity::VARCHAR AS rid, entity,
- {pick(L.HEAD, "e", 1)}||{pick(L.TAIL, "e", 2)} AS given, {pick(L.TAIL, "e", 3)}||{pick(L.HEAD, "e", 4)}||{pick(L.TAIL, "e", 5)} AS surname,
- {pick(L.HEAD, "n", 1)}||{pick(L.TAIL, "n", 2)}||'ton' AS suburb, (20000+nation*389+('0x'||substr(e,6,1))::INT)::VARCHAR AS postcode
- FROM k, range(1,{p + 1}) t(party) WHERE r=0 OR r=party)"""
+def _baselines() -> dict:
+    return {
+        "match_exact": lambda k, d: B.exact_conjunction(dirty(k, d), S3),
+        "match_exact_equal": lambda k, d: B.equal_filters(E.encode_register(dirty(k, d), S3), S3),
+        "match_exact_register": lambda k, d: B.register_conjunction(encoded(k, d, WIDE), WIDE),
+        "match_clear": lambda k, d: B.clear_exact(dirty(k, d), S3),
+        "match_qgram_clear": lambda k, d: B.clear_qgrams(register(k, d), S3),
+        "match_noblock": lambda k, d: L.central(E.encode_register(register(k, d).where("entity < 20"), NO_BLOCK), NO_BLOCK),
+        "length_filter": lambda k, d: B.length_filter(encoded(k, d, S3), S3),
+        "range_partners": lambda k, d: B.range_partners(encoded(k, d, S3), S3),
+    }
 
 
-def _encode_sql(s: LinkageSpec) -> str:
-    return f"""{_register_sql(s.parties)},
-g AS (SELECT DISTINCT party, rid, substr(v,i::INT,{s.q}) AS gram FROM (SELECT party, rid, unnest([given,surname,suburb,postcode]) AS v FROM reg), range(1,40) t(i) WHERE i <= length(v)-{s.q - 1}),
-pos AS (SELECT DISTINCT party, rid, ('0x'||substr(md5('{s.secret}|'||i::VARCHAR||'|'||gram),1,8))::BIGINT % {s.bits} AS p FROM g, range(0,{s.hashes}) t(i))"""
+WIDE = LinkageSpec(length=3000, hashes=1)
+NO_BLOCK = LinkageSpec(block_fn="none")
+GRID = [(3, 100, 3), (5, 100, 3), (7, 100, 3), (10, 100, 3), (20, 100, 3), (3, 500, 20), (7, 500, 9)]
+SWEEP = [LinkageSpec(length=n, hashes=k, block_keys=("given", "surname")) for n, k in ((500, 20), (500, 9), (200, 9), (100, 3))]
 
 
-def oracle_sql() -> dict[str, str]:
-    out = {f"register_p{p}": f"WITH {_register_sql(p)} SELECT party, rid, entity, given, surname, suburb, postcode FROM reg" for p in (3, 5, 7)}
-    s = spec_for(3)
-    out["encode_shared"] = f"WITH {_encode_sql(s)} SELECT party, rid, string_agg(p::VARCHAR,' ' ORDER BY p) AS places, count(*)::INT AS x_own FROM pos GROUP BY party, rid"
-    return out | _reference_sql()
-
-
-def _reference_sql() -> dict[str, str]:
-    s = PREFIX
-    base = f"""{_encode_sql(s)},
-e AS (SELECT pos.party, pos.rid, any_value(left(surname,4)) AS b, list(p) AS v, count(*) AS x FROM pos JOIN reg ON pos.rid=reg.rid GROUP BY ALL),
-t AS (SELECT one.rid||','||two.rid||','||three.rid AS cand, one.x+two.x+three.x AS x, len(list_intersect(list_intersect(one.v,two.v),three.v)) AS c
- FROM e one JOIN e two ON one.b=two.b AND two.party=2 JOIN e three ON one.b=three.b AND three.party=3 WHERE one.party=1)"""
-    hit = "FROM t WHERE 15*c >= 4*x"
-    qids = ",".join(s.qids)
+def _measures() -> dict:
+    s7 = replace(SHORT, parties=7)
+    world = lambda k, d, s: settle(X.exchange_segments(E.encode_register(k.read.parquet(f"{d}/customer.parquet").where("c_custkey % 2 = 0").select(F.col("c_custkey").alias("entity"), F.col("c_nationkey").alias("nation")).transform(lambda p: R.make_register(p, s.parties)), s), s))
+    named = lambda k, d, df, s: df.withColumnRenamed("rid", "token")
+    every = lambda k, d, s=S3: blocking.candidate_count(register(k, d, s.parties).select("party", blocking.block_key(s.block_keys, s.block_fn).alias("bkv")), s.parties)
+    counts = lambda k, d, prune=None, s=S3: compare.partial_counts(settled_view(k, d, s), s, prune)
     return {
-        "match_approx_prefix": f"WITH {base} SELECT cand, c::BIGINT AS c, x::BIGINT AS x, round(3*c/x,6) AS sim {hit}",
-        "central_dice": f"WITH {base} SELECT cand, round(3*c/x,6) AS sim {hit}",
-        "candidate_count_prefix": f"WITH {base} SELECT count(*) AS candidates FROM t",
-        "clear_exact": f"WITH {_register_sql(3)} SELECT a.rid||','||b.rid||','||c.rid AS cand FROM reg a JOIN reg b USING ({qids}) JOIN reg c USING ({qids}) WHERE a.party=1 AND b.party=2 AND c.party=3",
-        "fill_ratio": f"WITH {_encode_sql(s)} SELECT party, count(DISTINCT rid) AS n, round(count(*)/(count(DISTINCT rid)*{s.bits}),6) AS fill FROM pos GROUP BY party",
-        "bit_sensitivity": f"""WITH {_encode_sql(s)}, d AS (SELECT p, count(DISTINCT gram) AS dist FROM (SELECT gram, ('0x'||substr(md5('{s.secret}|'||i::VARCHAR||'|'||gram),1,8))::BIGINT % {s.bits} AS p FROM (SELECT DISTINCT gram FROM g), range(0,{s.hashes}) t(i)) GROUP BY p),
-f AS (SELECT p, count(*) AS freq FROM pos GROUP BY p) SELECT p::INT AS place, dist, freq, round(1/dist,6) AS s FROM d JOIN f USING (p)""",
+        "rr_f": lambda k, d: M.filter_reduction(counts(k, d, "prefix"), every(k, d), S3),
+        "rr_f_series": lambda k, d: K.rr_f_series(people(k, d), (500, 1000, 1500), S3),
+        "quality_pairwise": lambda k, d: M.quality(M.pairs_of(L.link(dirty(k, d), S3)), M.pairs_of(R.true_sets(register(k, d), S3))),
+        "quality_within_blocks": lambda k, d: M.quality(L.link(dirty(k, d), S3), M.within_blocks(R.true_sets(register(k, d), S3), dirty(k, d).select("rid", blocking.block_key(("surname",)).alias("bkv")))),
+        "suspicion": lambda k, d: named(k, d, M.suspicion(view(k, d, s7), world(k, d, s7), s7), s7),
+        "disclosure_grid": lambda k, d: K.disclosure_grid(people(k, d), GRID),
+        "disclosure_external": lambda k, d: M.disclosure_external(view(k, d, s7), world(k, d, s7), s7),
+        "freq_attack": lambda k, d: M.frequency_attack(view(k, d, s7), world(k, d, s7), s7),
+        "bit_sensitivity": lambda k, d: M.bit_sensitivity(register(k, d), S3),
+        "param_simulation": lambda k, d: M.simulate_parameters(register(k, d), [LinkageSpec(length=n, hashes=h, q=q) for n, h, q in ((500, 20, 2), (500, 9, 2), (1000, 5, 3))]),
+        "tradeoff_sweep": lambda k, d: K.tradeoff_sweep(dirty(k, d), SWEEP),
+        "ledger": lambda k, d: M.message_ledger(settled_view(k, d, S3), counts(k, d, "prefix"), S3),
+        "cost_model": lambda k, d: M.cost_model(register(k, d), encoded(k, d, S3), every(k, d), S3),
+        "memory_model": lambda k, d: M.memory_model(settled_view(k, d, S3), counts(k, d), S3),
+        "initiator_view": lambda k, d: M.initiator_view(counts(k, d), S3),
+        "smx_sweep": lambda k, d: K.threshold_sweep(dirty(k, d), S3),
+        "running_example": lambda k, d: K.running_example(k),
+        "filter_example": lambda k, d: K.filter_example(k),
+        "two_strings": lambda k, d: K.two_strings(k),
+        "link_products": lambda k, d: L.link(R.product_register(k.read.parquet(f"{d}/part.parquet"), 3), PRODUCTS, most=200, finer="kind"),
+        "link_documents": lambda k, d: L.link(R.document_register(k.read.parquet(f"{d}/documents.parquet"), 3), DOCUMENTS),
+        "link_embeddings": lambda k, d: L.central(K.embedding_filters(k.read.parquet(f"{d}/embeddings.parquet"), VECTORS), VECTORS),
     }
+
+
+PRODUCTS = LinkageSpec(qids=("name", "brand", "kind", "size"), block_keys=("name", "brand"), block_fn="exact", threshold=(19, 20))
+DOCUMENTS = LinkageSpec(qids=("head", "lang"), block_keys=("head",), block_fn="prefix:24", length=2000, hashes=6, threshold=(9, 10))
+VECTORS = LinkageSpec(length=64, threshold=(1, 2))
+
+
+def queries() -> dict:
+    return _encoding() | _blocking() | _protocol() | _baselines() | _measures() | surround.queries()
+
+
+def oracle_sql() -> dict[str, str]:
+    return oracles.sql() | surround.oracle_sql()

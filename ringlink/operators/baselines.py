@@ -1,4 +1,4 @@
-"""What the distributed matcher is compared with: clear-text and central references."""
+"""What the distributed matcher is compared with: exact matchers, clear-text references, filters on sizes."""
 
 from __future__ import annotations
 
@@ -7,54 +7,94 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ringlink.operators.blocking import block_key
-from ringlink.operators.linkage import qgrams
+from ringlink.operators import blocking, compare
+from ringlink.operators.encoding import bit_columns, clean, encode_register, qgrams
+from ringlink.operators.exchange import exchange_segments, record_tokens, word_columns
+from ringlink.plans.physical import settle
 from ringlink.spec import LinkageSpec
 
 
-def _joined(rows: DataFrame, spec: LinkageSpec, keys: list[str], value: str | None) -> DataFrame:
-    out = None
+def _and(columns) -> Column:
+    return reduce(lambda a, b: a & b, columns)
+
+
+def exact_conjunction(register: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """cand of the compared exact matcher: holders AND their pieces, the whole conjunction is put together again, and
+    every party tests whether its own filter lies inside it.
+
+    The conjunction's bits travel once per candidate, and back to every party: that is the cost it is compared for.
+    """
+    encoded = settle(encode_register(register, spec))
+    view = settle(exchange_segments(encoded, spec))
+    ids, words, bits = [f"r{j}" for j in range(1, spec.parties + 1)], word_columns(spec), bit_columns(spec)
+    pieces = compare.partial_counts(view, spec, words=True)
+    whole = [F.max(F.when(F.col("holder") == i // spec.words + 1, F.col(words[i % spec.words]))).alias(b) for i, b in enumerate(bits)]
+    conj = pieces.groupBy(*ids).agg(*whole)
+    own = encoded.select("party", "rid", *bits).join(record_tokens(encoded, spec), ["party", "rid"])
     for j in range(1, spec.parties + 1):
-        part = rows.where(F.col("party") == j).select(*keys, F.col("rid").alias(f"r{j}"), *([F.col(value).alias(f"v{j}")] if value else []))
-        out = part if out is None else out.join(part, keys)
-    return out
+        mine = own.where(F.col("party") == j).select(F.col("token").alias(f"r{j}"), F.col("rid").alias(f"name{j}"), *(F.col(b).alias(f"o{b}") for b in bits))
+        conj = conj.join(mine, f"r{j}").where(_and(F.col(b).bitwiseAND(F.col(f"o{b}")) == F.col(f"o{b}") for b in bits)).drop(*(f"o{b}" for b in bits))
+    return conj.select(F.concat_ws(",", *(f"name{j}" for j in range(1, spec.parties + 1))).alias("cand"))
 
 
-def _named(spec: LinkageSpec) -> Column:
-    return F.concat_ws(",", *(f"r{j}" for j in range(1, spec.parties + 1))).alias("cand")
+def equal_filters(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """What the exact conjunction finds, by one equi-join on block and whole filter."""
+    bits, out = bit_columns(spec), None
+    for j in range(1, spec.parties + 1):
+        part = encoded.where(F.col("party") == j).select("bkv", *bits, F.col("rid").alias(f"r{j}"))
+        out = part if out is None else out.join(part, ["bkv", *bits])
+    return out.select(blocking.named(spec.parties))
 
 
-def similarity(sets: list[Column], kind: str = "dice") -> Column:
-    """Multi-party similarity of arrays taken as sets: dice, jaccard, overlap or cosine; null where a divisor is 0."""
-    common = F.size(reduce(F.array_intersect, sets))
-    sizes = [F.size(F.array_distinct(s)) for s in sets]
-    if kind == "jaccard":
-        return F.try_divide(common, F.size(reduce(F.array_union, sets)))
-    if kind == "overlap":
-        return F.try_divide(common, F.least(*sizes))
-    if kind == "cosine":
-        return F.try_divide(common, F.pow(reduce(lambda a, b: a * b, (s.cast("double") for s in sizes)), F.lit(1 / len(sets))))
-    return F.try_divide(len(sets) * common, reduce(lambda a, b: a + b, sizes))
+def register_conjunction(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """party, rid of the records whose bits all lie in the conjunction of the parties' whole registers (each the OR of its records)."""
+    bits = bit_columns(spec)
+    registers = encoded.groupBy("party").agg(*(F.bit_or(b).alias(b) for b in bits))
+    common = registers.agg(*(F.bit_and(b).alias(f"c{b}") for b in bits))  # one row
+    inside = _and(F.col(b).bitwiseAND(F.col(f"c{b}")) == F.col(b) for b in bits)
+    return encoded.crossJoin(F.broadcast(common)).where(inside).select("party", "rid")
 
 
-def central(rows: DataFrame, spec: LinkageSpec, kind: str = "dice", value: str = "places") -> DataFrame:
-    """cand, sim of what one trusted party finds with whole arrays (party, rid, bkv, value) in its hands."""
-    num, den = spec.threshold
-    sim = similarity([F.col(f"v{j}") for j in range(1, spec.parties + 1)], kind)
-    return _joined(rows, spec, ["bkv"], value).select(_named(spec), sim.alias("sim")).where(F.col("sim") * den >= num - 1e-12).withColumn("sim", F.round("sim", 6))
+def clear_exact(register: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """cand of the records that agree on all attributes, compared in the clear."""
+    out = None
+    for j in range(1, spec.parties + 1):
+        part = register.where(F.col("party") == j).select(*spec.qids, F.col("rid").alias(f"r{j}"))
+        out = part if out is None else out.join(part, list(spec.qids))
+    return out.select(blocking.named(spec.parties))
 
 
 def clear_qgrams(register: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """Dice on the q-grams themselves: what hashing alone loses shows against `central`."""
-    text = lambda c: F.lower(F.trim(F.coalesce(F.col(c), F.lit(""))))
-    grams = F.array_distinct(F.flatten(F.array(*(qgrams(text(c), spec.q) for c in spec.qids))))
-    return central(register.select("party", "rid", block_key(spec.block_keys, spec.block_fn).alias("bkv"), grams.alias("places")), spec)
+    """cand, c, x, sim by Dice on the q-grams themselves: what hashing alone loses shows against the central reference."""
+    grams = F.array_distinct(F.flatten(F.array(*(qgrams(clean(F.col(c)), spec.q, spec.pad) for c in spec.qids))))
+    rows = register.select("party", "rid", blocking.block_key(spec.block_keys, spec.block_fn).alias("bkv"), grams.alias("grams"))
+    sets = blocking.enumerate_candidates(rows, spec.parties, ("grams",))
+    lists = [F.col(f"grams_{j}") for j in range(1, spec.parties + 1)]
+    c, x = F.size(reduce(F.array_intersect, lists)), reduce(lambda a, b: a + b, map(F.size, lists))
+    num, den = spec.threshold
+    rows = sets.select(blocking.named(spec.parties), c.cast("long").alias("c"), x.cast("long").alias("x")).where(den * spec.parties * F.col("c") >= num * F.col("x")).where("x > 0")
+    return rows.withColumn("sim", F.round(spec.parties * F.col("c") / F.col("x"), 6))
 
 
-def clear_exact(register: DataFrame, spec: LinkageSpec) -> DataFrame:
-    return _joined(register, spec, list(spec.qids), None).select(_named(spec))
+def length_filter(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """candidates, kept, share: how little the sizes of half-full filters rule out. A set passes if its smallest size allows s_t."""
+    num, den = spec.threshold
+    sets = blocking.enumerate_candidates(encoded, spec.parties, ("x_own",))
+    sizes = [F.col(f"x_own_{j}") for j in range(1, spec.parties + 1)]
+    passes = den * spec.parties * F.least(*sizes) >= num * reduce(lambda a, b: a + b, sizes)
+    n = sets.agg(F.count("*").alias("candidates"), F.count_if(passes).alias("kept"))
+    return n.withColumn("share", F.round(F.try_divide("kept", "candidates"), 6))
 
 
-def equal_filters(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """What the exact conjunction finds, by one equi-join on the whole filters."""
-    return _joined(encoded.withColumn("filter", F.array_join(F.col("places").cast("array<string>"), ",")), spec, ["bkv", "filter"], None).select(_named(spec))
+def range_partners(encoded: DataFrame, spec: LinkageSpec, step: int = 8) -> DataFrame:
+    """rid1, rid2 of the pairs of two parties whose sizes allow s_t for two: a range join made an equi-join.
+
+    Partners of a filter with x bits have between x*s/(2-s) and x*(2-s)/s bits; each row is copied to the steps that
+    range touches, each partner stands in one, so every pair meets once.
+    """
+    num, den = spec.threshold
+    low, high = F.ceil(F.col("x1") * num / (2 * den - num)).cast("long"), F.floor(F.col("x1") * (2 * den - num) / num).cast("long")
+    one = encoded.where("party = 1").select("bkv", F.col("rid").alias("rid1"), F.col("x_own").alias("x1")).withColumns({"lo": low, "hi": high})
+    one = one.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") / step), F.floor(F.col("hi") / step))))
+    two = encoded.where("party = 2").select("bkv", F.col("rid").alias("rid2"), F.col("x_own").alias("x2"), F.floor(F.col("x_own") / step).alias("bin"))
+    return one.join(two, ["bkv", "bin"]).where("x2 between lo and hi").select("rid1", "rid2", "x1", "x2")

@@ -1,164 +1,113 @@
-"""Multi-party approximate linkage: register, encoding, exchange, counts, ring, classification, baseline, measures."""
+"""The protocol from register to matches."""
 
 from __future__ import annotations
 
 from functools import reduce
+from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import functions as F
 from pyspark.sql import Window as W
+from pyspark.sql import functions as F
 
-from ringlink.operators.blocking import block_key
+from ringlink.operators import blocking, compare, ring
+from ringlink.operators.encoding import encode_register
+from ringlink.operators.exchange import exchange_segments, record_tokens
+from ringlink.plans.physical import settle
 from ringlink.spec import LinkageSpec
 
-# The syllables of the derived person register.
-HEAD = ["ba", "ce", "di", "fo", "gu", "ha", "je", "ki", "lo", "mu", "na", "pe", "ri", "so", "tu", "va"]
-TAIL = ["ber", "cal", "din", "fos", "gar", "hen", "jul", "kam", "lin", "mor", "nel", "pat", "ros", "sten", "tol", "vik"]
-
-
-def _digit(text: Column, at: int) -> Column:
-    return F.conv(F.substring(text, at, 1), 16, 10).cast("int")
-
-
-def _pick(words: list[str], digit: Column) -> Column:
-    return F.element_at(F.array(*map(F.lit, words)), digit + 1)
+MODES = {"approx": None, "approx_filtered": "prefix", "final": "final", "bound": "bound"}
 
 
-def make_register(people: DataFrame, parties: int) -> DataFrame:
-    """people (entity, nation) -> one row per party and record; key mod (P+1) = 0 is shared by all parties."""
-    e, n = F.md5(F.concat(F.lit("e"), F.col("entity").cast("string"))), F.md5(F.concat(F.lit("n"), F.col("nation").cast("string")))
-    r = F.pmod(F.col("entity"), F.lit(parties + 1)).cast("int")
-    holder = F.when(r == 0, F.sequence(F.lit(1), F.lit(parties))).otherwise(F.array(r))
-    return people.select(
-        F.explode(holder).alias("party"),
-        "entity",
-        F.concat(_pick(HEAD, _digit(e, 1)), _pick(TAIL, _digit(e, 2))).alias("given"),
-        F.concat(_pick(TAIL, _digit(e, 3)), _pick(HEAD, _digit(e, 4)), _pick(TAIL, _digit(e, 5))).alias("surname"),
-        F.concat(_pick(HEAD, _digit(n, 1)), _pick(TAIL, _digit(n, 2)), F.lit("ton")).alias("suburb"),
-        (F.lit(20000) + F.col("nation") * 389 + _digit(e, 6)).cast("string").alias("postcode"),
-    ).withColumn("rid", F.concat_ws("-", F.element_at(F.array(*(F.lit(chr(65 + i)) for i in range(parties))), F.col("party")), F.col("entity").cast("string")))
+def counts(view: DataFrame, spec: LinkageSpec, mode: str = "approx", order: str = "id") -> DataFrame:
+    if mode == "bound":
+        return compare.bounded_counts(view, spec)
+    return compare.partial_counts(view, spec, MODES[mode], order)
 
 
-def qgrams(value: Column, q: int = 2) -> Column:
-    """Distinct q-grams; null and values shorter than q have none."""
-    n = F.length(value) - (q - 1)
-    return F.when(n > 0, F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: value.substr(i, F.lit(q))))).otherwise(F.array().cast("array<string>"))
-
+def classify(totals: DataFrame, spec: LinkageSpec, key: str, initiator: str = "one") -> DataFrame:
+    """r1..rP, c, x, sim of the closed rings whose P-way Dice, unmasked by their initiator, reaches s_t."""
+    num, den = spec.threshold
+    read = ring.unmask(totals, key, initiator)
+    hit = read.where((F.col("x") > 0) & (den * spec.parties * F.col("c") >= num * F.col("x")))
+    ids = [f"r{j}" for j in range(1, spec.parties + 1)]
+    return hit.select(*ids, "c", "x", F.round(spec.parties * F.col("c") / F.col("x"), 6).alias("sim"))
 
-def positions(grams: Column, spec: LinkageSpec) -> Column:
-    """Sorted 0-based bit places of all grams under the keyed independent hashes."""
-    def place(g: Column, i: int) -> Column:
-        return (F.conv(F.substring(F.md5(F.concat(F.lit(f"{spec.secret}|{i}|"), g)), 1, 8), 16, 10).cast("long") % spec.bits).cast("int")
 
-    return F.array_sort(F.array_distinct(F.flatten(F.transform(grams, lambda g: F.array(*(place(g, i) for i in range(spec.hashes)))))))
+def readable(matches: DataFrame, tokens: DataFrame, spec: LinkageSpec) -> DataFrame:
+    """cand, c, x, sim: each owner reads its own tokens in the results handed out."""
+    ids = [f"r{j}" for j in range(1, spec.parties + 1)]
+    rows = matches.select("c", "x", "sim", candidate_id(spec).alias("_id"), F.posexplode(F.array(*ids)).alias("_at", "token"))
+    found = rows.join(tokens.select((F.col("party") - 1).alias("_at"), "token", "rid"), ["_at", "token"])
+    whole = found.groupBy("_id").agg(F.first("c").alias("c"), F.first("x").alias("x"), F.first("sim").alias("sim"), F.array_sort(F.collect_list(F.struct("_at", "rid"))).alias("m"))
+    return whole.select(F.concat_ws(",", "m.rid").alias("cand"), "c", "x", "sim")
 
 
-def encode_register(register: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """party, rid, bkv, places, x_own. A gram is hashed once: the gram dictionary is bounded by the alphabet."""
-    grams = F.array_distinct(F.flatten(F.array(*(qgrams(F.lower(F.trim(F.coalesce(F.col(c), F.lit(""))))) if spec.q == 2 else qgrams(F.lower(F.trim(F.coalesce(F.col(c), F.lit("")))), spec.q) for c in spec.qids))))
-    rows = register.select("party", "rid", "entity", block_key(spec.block_keys, spec.block_fn).alias("bkv"), grams.alias("grams"))
-    return rows.withColumn("places", positions(F.col("grams"), spec)).withColumn("x_own", F.size("places")).drop("grams")
+def candidate_id(spec: LinkageSpec) -> Column:
+    return ring.candidate(spec)
 
 
-def exchange_segments(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """holder, owner, rid, bkv, w0.., seg_ones: holder j gets piece j of every owner, its own included."""
-    pieces = encoded.withColumn("holder", F.explode(F.sequence(F.lit(1), F.lit(spec.parties))))
-    local = F.transform(F.filter("places", lambda p: F.floor(p / spec.width) == F.col("holder") - 1), lambda p: p % spec.width)
+def link_encoded(encoded: DataFrame, spec: LinkageSpec, mode: str = "approx", key: str = "k1", initiator: str = "one", order: str = "id") -> DataFrame:
+    """cand, c, x, sim from encoded records (party, rid, bkv, b0.., x_own): exchange, counts, ring, classification."""
+    encoded = settle(encoded)
+    view = settle(exchange_segments(encoded, spec))
+    totals = ring.ring_totals(counts(view, spec, mode, order), spec, key, initiator)
+    return readable(classify(totals, spec, key, initiator), record_tokens(encoded, spec), spec)
 
-    def word(k: int) -> Column:
-        bits = F.filter("local", lambda p: F.floor(p / 63) == k)
-        return F.aggregate(bits, F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), p % 63))).alias(f"w{k}")
 
-    words = [word(k) for k in range(spec.words)]
-    held = pieces.withColumn("local", local)
-    return held.select("holder", F.col("party").alias("owner"), "rid", "entity", "bkv", *words, F.size("local").alias("seg_ones"), "x_own")
+def link(register: DataFrame, spec: LinkageSpec, mode: str = "approx", key: str = "k1", initiator: str = "one", most: float | None = None, finer: str | None = None) -> DataFrame:
+    """The whole protocol. mode: approx, approx_filtered, final or bound.
 
+    With `most`, blocks of more candidate sets are cut by the attribute `finer` first (nothing is dropped).
+    """
+    encoded = encode_register(register, spec)
+    if most is not None:
+        encoded = blocking.split_blocks(encoded.join(register.select("party", "rid", F.col(finer).alias("_finer")), ["party", "rid"]), spec.parties, most, "_finer").drop("_finer")
+    return link_encoded(encoded, spec, mode, key, initiator)
 
-def partial_counts(view: DataFrame, spec: LinkageSpec, prune: bool = False, keep_words: bool = False) -> DataFrame:
-    """holder, r1..rP, c, x: each holder ANDs its pieces over every candidate of a block.
 
-    Own piece first, then the other owners ascending; with `prune` a prefix whose similarity (pieces merged times
-    common bits over their bits) is below s_m leaves before the next join multiplies it. Empty pieces count as 1.
-    """
-    num, den = spec.prune
+def link_subsets(register: DataFrame, spec: LinkageSpec, least: int) -> DataFrame:
+    """subset, cand, sim: matches of every choice of `least` parties or more, each choice by central Dice of its filters."""
+    encoded = settle(encode_register(register, spec))
     out = []
-    for h in range(1, spec.parties + 1):
-        mine = view.where(F.col("holder") == h)
-        order = [h] + [j for j in range(1, spec.parties + 1) if j != h]
-        words = [f"w{k}" for k in range(spec.words)]
-        acc = None
-        for n, owner in enumerate(order, 1):
-            part = mine.where(F.col("owner") == owner)
-            if acc is None:
-                acc = part.select("bkv", F.col("rid").alias(f"r{owner}"), *words, F.col("seg_ones").alias("ones"), F.col("x_own").alias("x"))
-                continue
-            right = part.select("bkv", F.col("rid").alias(f"r{owner}"), *(F.col(w).alias(f"v{w}") for w in words), "seg_ones")
-            kept = [c for c in acc.columns if c.startswith("r")]
-            acc = acc.join(right, "bkv").select("bkv", *kept, f"r{owner}", *(F.col(w).bitwiseAND(F.col(f"v{w}")).alias(w) for w in words), (F.col("ones") + F.col("seg_ones")).alias("ones"), "x")
-            if prune:
-                common = reduce(lambda a, b: a + b, (F.bit_count(w) for w in words))
-                acc = acc.where(den * n * common >= num * F.col("ones"))
-        c = reduce(lambda a, b: a + b, (F.bit_count(w) for w in words))
-        out.append(acc.select(F.lit(h).alias("holder"), *(f"r{j}" for j in range(1, spec.parties + 1)), c.cast("long").alias("c"), F.col("x").cast("long").alias("x"), *(words if keep_words else [])))
+    for size in range(least, spec.parties + 1):
+        for chosen in combinations(range(1, spec.parties + 1), size):
+            dealt = reduce(DataFrame.unionByName, (encoded.where(F.col("party") == p).withColumn("party", F.lit(i)) for i, p in enumerate(chosen, 1)))
+            found = central(dealt, spec, size)
+            out.append(found.select(F.lit("+".join(map(str, chosen))).alias("subset"), "cand", "sim"))
     return reduce(DataFrame.unionByName, out)
 
 
-def _ids(spec: LinkageSpec) -> list[str]:
-    return [f"r{j}" for j in range(1, spec.parties + 1)]
-
-
-def ring_transcript(partials: DataFrame, spec: LinkageSpec, modulus: int = 1 << 30) -> DataFrame:
-    """One row per candidate and hop: the masked running sums that each party sends on. Masks are keyed hashes."""
-    ids = _ids(spec)
-    mask = lambda kind: F.pmod(F.xxhash64(F.lit(spec.secret + kind), *ids), F.lit(modulus))
-    run = W.partitionBy(*ids).orderBy("holder").rowsBetween(W.unboundedPreceding, 0)
-    return partials.select(*ids, F.col("holder").alias("sender"), (F.col("holder") % spec.parties + 1).alias("receiver"), (F.sum("c").over(run) + mask("c")).alias("masked_c"), (F.sum("x").over(run) + mask("x")).alias("masked_x"))
+def central(encoded: DataFrame, spec: LinkageSpec, parties: int | None = None, kind: str = "dice", keep_all: bool = False) -> DataFrame:
+    """cand, c, x, sim of what one trusted party finds with whole filters in its hands."""
+    from ringlink.operators.encoding import bit_columns
 
-
-def classify(partials: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """Candidates that every holder kept and whose P-way Dice reaches the threshold, compared as integers."""
+    p = parties or spec.parties
+    bits = bit_columns(spec)
+    sets = blocking.enumerate_candidates(encoded, p, (*bits, "x_own"))
+    groups, sizes = [[f"{b}_{j}" for b in bits] for j in range(1, p + 1)], [f"x_own_{j}" for j in range(1, p + 1)]
+    sim = compare.similarity(groups, sizes, kind)
     num, den = spec.threshold
-    summed = partials.groupBy(*_ids(spec)).agg(F.sum("c").alias("c"), F.sum("x").alias("x"), F.count("*").alias("holders")).where(F.col("holders") == spec.parties)
-    hit = summed.where((F.col("x") > 0) & (den * spec.parties * F.col("c") >= num * F.col("x")))
-    return hit.select(F.concat_ws(",", *_ids(spec)).alias("cand"), "c", "x", F.round(spec.parties * F.col("c") / F.col("x"), 6).alias("sim"))
-
-
-def link(register: DataFrame, spec: LinkageSpec, mode: str = "approx") -> DataFrame:
-    # every holder reads the exchanged pieces P times
-    view = exchange_segments(encode_register(register, spec), spec).persist()
-    return classify(partial_counts(view, spec, prune=mode == "approx_filtered"), spec)
-
-
-def exact_conjunction(register: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """The compared exact matcher: all filters of a candidate contain the rebuilt conjunction's bits and no others."""
-    view = exchange_segments(encode_register(register, spec), spec)
-    words = [f"w{k}" for k in range(spec.words)]
-    conj = partial_counts(view, spec, keep_words=True)
-    for j in range(1, spec.parties + 1):
-        own = view.where(F.col("owner") == j).select("holder", F.col("rid").alias(f"r{j}"), *(F.col(w).alias(f"o{w}") for w in words))
-        conj = conj.join(own, ["holder", f"r{j}"]).where(reduce(lambda a, b: a & b, (F.col(w) == F.col(f"o{w}") for w in words))).drop(*(f"o{w}" for w in words))
-    return conj.groupBy(*_ids(spec)).agg(F.count("*").alias("n")).where(F.col("n") == spec.parties).select(F.concat_ws(",", *_ids(spec)).alias("cand"))
-
+    x = reduce(lambda a, b: a + b, (F.col(s) for s in sizes)).cast("long").alias("x")
+    rows = sets.select(blocking.named(p), compare._fold(groups, "and").cast("long").alias("c"), x, sim.alias("sim"))
+    if not keep_all:
+        rows = rows.where(den * p * F.col("c") >= num * F.col("x")).where("x > 0") if kind == "dice" else rows.where(F.col("sim") * den >= num - 1e-12)
+    return rows.withColumn("sim", F.round("sim", 6))
 
-def candidate_count(encoded: DataFrame, spec: LinkageSpec) -> DataFrame:
-    by = encoded.groupBy("bkv", "party").agg(F.count("*").alias("n"))
-    product = by.groupBy("bkv").agg(F.aggregate(F.collect_list("n"), F.lit(1).cast("decimal(38,0)"), lambda a, n: (a * n).cast("decimal(38,0)")).alias("sets"), F.count("*").alias("parties"))
-    return product.where(F.col("parties") == spec.parties).agg(F.coalesce(F.sum("sets"), F.lit(0)).cast("long").alias("candidates"))
 
+def best_per_record(matches: DataFrame, parties: int) -> DataFrame:
+    """Matches that are the best of each of their records; ties go to the smaller `cand`.
 
-def quality(matches: DataFrame, truth: DataFrame) -> DataFrame:
-    """tp, fp, fn, precision, recall, f1 over whole sets; both sides have a unique `cand`."""
-    both = matches.select("cand", F.lit(1).alias("m")).join(truth.select("cand", F.lit(1).alias("t")), "cand", "full_outer")
-    n = both.agg(F.count_if(F.col("m").isNotNull() & F.col("t").isNotNull()).alias("tp"), F.count_if(F.col("t").isNull()).alias("fp"), F.count_if(F.col("m").isNull()).alias("fn"))
-    r = lambda a, b: F.round(F.try_divide(a, b), 6)
-    return n.withColumns({"precision": r(F.col("tp"), F.col("tp") + F.col("fp")), "recall": r(F.col("tp"), F.col("tp") + F.col("fn")), "f1": r(2 * F.col("tp"), 2 * F.col("tp") + F.col("fp") + F.col("fn"))})
-
-
-def true_sets(register: DataFrame, spec: LinkageSpec) -> DataFrame:
-    return register.groupBy("entity").agg(F.count("*").alias("n"), F.array_join(F.array_sort(F.collect_list("rid")), ",").alias("cand")).where(F.col("n") == spec.parties).select("cand")
-
-
-def disclosure(view: DataFrame, spec: LinkageSpec) -> DataFrame:
-    """Mean and marketer risk of a frequency attack whose global database is the register itself."""
-    groups = view.groupBy("holder", "owner", *(f"w{k}" for k in range(spec.words))).agg(F.count("*").alias("n"))
-    return groups.agg(F.round(F.count("*") / F.sum("n"), 6).alias("dr_mean"), F.round(F.count_if(F.col("n") == 1) / F.sum("n"), 6).alias("dr_mark"), F.max(F.round(1 / F.col("n"), 6)).alias("dr_max"))
+    Each record's best is an aggregate (map-side combined), met again by an equi-join: no record's matches are sorted.
+    """
+    rank = F.struct((-F.col("sim")).alias("s"), F.col("cand").alias("k"))
+    parts = matches.select("cand", rank.alias("rank"), F.explode(F.split("cand", ",")).alias("rid"))
+    best = parts.groupBy("rid").agg(F.min("rank").alias("top"))
+    won = best.groupBy(F.col("top.k").alias("cand")).agg(F.count("*").alias("wins")).where(F.col("wins") == parties).select("cand")
+    return matches.join(won, "cand", "left_semi")
+
+
+def top_matches(matches: DataFrame, blocks: DataFrame, k: int) -> DataFrame:
+    """bkv, rank, cand, sim: the k best matches of each block. blocks: rid, bkv of the first party."""
+    rows = matches.withColumn("rid", F.substring_index("cand", ",", 1)).join(blocks, "rid")
+    place = F.row_number().over(W.partitionBy("bkv").orderBy(F.desc("sim"), "cand"))
+    return rows.withColumn("rank", place).where(F.col("rank") <= k).select("bkv", "rank", "cand", "sim")

@@ -1,0 +1 @@
+"""Plan-level helpers: durable intermediate results, size-checked broadcasts, salted joins, executor choice."""

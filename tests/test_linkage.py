@@ -1,48 +1,228 @@
+from dataclasses import replace
+
+import pytest
+from pyspark.sql import functions as F
+
+from ringlink import catalog, streaming
+from ringlink import workloads as K
+from ringlink.operators import baselines as B
+from ringlink.operators import blocking, compare, measures, ring
+from ringlink.operators import corruption as C
+from ringlink.operators import encoding as E
+from ringlink.operators import exchange as X
 from ringlink.operators import linkage as L
+from ringlink.operators import registers as R
 from ringlink.spec import LinkageSpec, expected_fill, fit_length, optimal_hashes
 
-ROWS = [
-    (1, "A-1", 1, "petra", "hansen", "norton", "27601", "bk1"), (1, "A-2", 2, "martin", "kelly", "durham", "27701", "bk1"),
-    (2, "B-1", 3, "marta", "holm", "dunville", "27702", "bk1"), (2, "B-2", 1, "petra", "hanson", "norton", "27601", "bk1"),
-    (3, "C-1", 1, "petra", "hansen", "norton", "27601", "bk1"), (3, "C-2", 4, "oskar", "lind", "wilson", "27893", "bk2"),
-]
+S = LinkageSpec()
+
+
+def _people(spark, n=300):
+    return spark.range(n).selectExpr("id AS entity", "cast(id % 25 AS int) AS nation")
+
+
+def _rows(df, *cols):
+    return sorted(tuple(r) for r in df.select(*cols).collect())
+
+
+@pytest.fixture(scope="module")
+def encoded(spark):
+    return E.settle(E.encode_register(C.corrupt_register(R.make_register(_people(spark), 3), 3, 40), S))
+
+
+@pytest.fixture(scope="module")
+def view(spark, encoded):
+    return E.settle(X.exchange_segments(encoded, S))
 
 
 def test_parameters():
     assert [fit_length(500, p) for p in (3, 5, 7)] == [501, 500, 504]
     assert abs(expected_fill(500, 20, optimal_hashes(500, 20)) - 0.5) < 1e-9
+    for wrong in ({"parties": 2}, {"length": 0}, {"threshold": (3, 2)}, {"encoding": "x"}, {"weights": (1, 2)}, {"pad": "__"}, {"scheme": "y"}):
+        with pytest.raises(ValueError):
+            LinkageSpec(**wrong)
+    with pytest.raises(ValueError):
+        fit_length(500, 3, strict=True)
+    assert sum(replace(S, weights=(2, 3, 1, 2)).bits_by_qid) == 501
+
+
+def test_positions_of_the_fixture(spark):
+    row = spark.range(1).select(*(F.array_sort(E.hash_positions(F.lit("pe"), 501, 3, scheme=s)).alias(s) for s in ("independent", "double"))).first()
+    assert (row["independent"], row["double"]) == ([210, 422, 453], [78, 196, 461])
+
+
+def test_worked_examples(spark):
+    got = {r["cand"]: (r["c1"], r["c2"], r["c3"], r["c"], r["x"], r["sim"], r["is_match"]) for r in K.running_example(spark).collect()}
+    assert got == {
+        "A-1,B-1,C-1": (45, 45, 47, 137, 758, 0.5422, False), "A-1,B-2,C-1": (81, 75, 78, 234, 751, 0.9348, True),
+        "A-2,B-1,C-1": (31, 38, 40, 109, 755, 0.4331, False), "A-2,B-2,C-1": (40, 49, 55, 144, 748, 0.5775, False),
+    }
+    assert tuple(K.two_strings(spark).first()) == ("0 1 2 4 8 10 13", "2 4 8 10 13", 7, 5, 5, 0.8333)
+    sent, total = ring.ring_sum(spark.createDataFrame([(1, 11), (2, 7), (3, 15)], "party int, value long"), 3, 1, 20)
+    assert [r["message"] for r in sent.orderBy("hop").collect()] == [31, 38, 53] and total.first()["total"] == 33
+    kept = {(r["tenths"], r["holder"]): r["kept"] for r in K.filter_example(spark).collect()}
+    assert kept[0, 0] == 9 and [kept[8, h] for h in (1, 2, 3)] == [1, 2, 2] and all(kept[6, h] >= 1 for h in (1, 2, 3))
+    view = K.bits_view(spark, LinkageSpec(length=12))
+    for tenths, want in ((8, set()), (6, {("A1", "B1", "C1")})):
+        s = LinkageSpec(length=12, seg_threshold=(tenths, 10))
+        rows = compare.partial_counts(view, s, "prefix").groupBy("r1", "r2", "r3").agg(F.count("*").alias("n"), F.sum("c").alias("c"), F.sum("x").alias("x")).where("n = 3 and 15 * c >= 4 * x")
+        assert set(_rows(rows, "r1", "r2", "r3")) == want  # the filter at .8 loses the only match
+
+
+def test_registers(spark):
+    reg = R.make_register(_people(spark, 1500), 3)
+    assert reg.count() == 2250 and R.true_sets(reg, S).count() == 375
+    row = reg.where("entity = 8").first()
+    assert row["suburb"].endswith("ton") and any(row["suburb"].startswith(t) for t in R.TAIL)
+    assert {r["party"] for r in reg.where("entity = 5").collect()} == {1}
+
+
+def test_golden_totals(spark):
+    d = "/root/testdata/sf0.01"
+    found = L.link(catalog.register(spark, d), S)
+    truth = R.true_sets(catalog.register(spark, d), S)
+    rows = catalog.register(spark, d).select("party", blocking.block_key(("surname",)).alias("bkv"))
+    assert blocking.candidate_count(rows, 3).first()["candidates"] == 15724
+    q = measures.quality(found, truth).first()
+    assert (q["tp"], q["fp"], q["fn"]) == (375, 51, 0)
+
+
+def test_distributed_equals_central(spark, encoded, view):
+    central = _rows(L.central(encoded, S), "cand", "c", "x", "sim")
+    assert central and _rows(L.link_encoded(encoded, S), "cand", "c", "x", "sim") == central
+    assert _rows(L.link_encoded(encoded, S, "bound"), "cand", "c", "x", "sim") == central
+    for who in ("rotate", "external"):
+        assert _rows(L.link_encoded(encoded, S, initiator=who), "cand", "c", "x", "sim") == central
+    filtered = _rows(L.link_encoded(encoded, S, "approx_filtered"), "cand", "c", "x", "sim")
+    assert set(filtered) <= set(central)
+
+
+def test_filter_against_brute_force(spark, view):
+    pieces: dict = {}
+    for r in view.collect():
+        pieces.setdefault((r["holder"], r["bkv"]), {}).setdefault(r["owner"], []).append((r["rid"], tuple(r[f"w{k}"] for k in range(S.words))))
+    pop = lambda ws: sum(w.bit_count() for w in ws)
+    for num, den in ((0, 1), (3, 5), (4, 5)):
+        s, want = replace(S, seg_threshold=(num, den)), set()
+        for (h, _), by in pieces.items():
+            order = [h] + [j for j in (1, 2, 3) if j != h]
+            front = [({h: rid}, ws, pop(ws)) for rid, ws in by.get(h, [])]
+            for n, j in enumerate(order[1:], 2):
+                nxt = []
+                for ids, ws, ones in front:
+                    for rid, other in by.get(j, []):
+                        both, total = tuple(a & b for a, b in zip(ws, other, strict=True)), ones + pop(other)
+                        if den * n * pop(both) >= num * total:
+                            nxt.append((ids | {j: rid}, both, total))
+                front = nxt
+            want |= {(h, *(ids[j] for j in (1, 2, 3)), pop(ws)) for ids, ws, _ in front}
+        got = {tuple(r) for r in compare.partial_counts(view, s, "prefix").select("holder", "r1", "r2", "r3", "c").collect()}
+        assert got == want
+    assert compare.partial_counts(view, S).count() == compare.partial_counts(view, replace(S, seg_threshold=(0, 1)), "prefix").count()
+
+
+def test_ring_hides_and_returns(spark, view):
+    counts = E.settle(compare.partial_counts(view, S))
+    plain = {r["cand"]: (r["c"], r["x"]) for r in counts.groupBy(ring.candidate(S).alias("cand")).agg(F.sum("c").alias("c"), F.sum("x").alias("x")).collect()}
+    for who in ("one", "rotate", "external"):
+        totals = ring.ring_totals(counts, S, "k", who)
+        assert {r["cand"]: (r["c"], r["x"]) for r in ring.unmask(totals, "k", who).collect()} == plain
+        sent = ring.ring_transcript(counts, S, "k", who)
+        assert sent.count() == 3 * len(plain) and sent.agg(F.min("masked_c")).first()[0] >= 0
+        assert sent.where(F.col("masked_c") < 501).count() == 0  # no message shows a count
+    last = ring.ring_transcript(counts, S, "k").where("hop = 3").select("cand", "masked_c")
+    assert last.exceptAll(ring.ring_totals(counts, S, "k").select("cand", "masked_c")).isEmpty()
+    wrong = {r["cand"]: r["c"] for r in ring.unmask(ring.ring_totals(counts, S, "k"), "other").collect()}
+    assert all(wrong[c] != plain[c][0] for c in wrong)
+
+
+def test_exchange_shows_no_more_than_a_piece(spark, encoded, view):
+    assert not {"entity", "given", "surname", "suburb", "postcode"} & set(view.columns)
+    assert view.where("holder <> owner and x_own is not null").isEmpty()
+    assert X.exposure_audit(view, S).agg(F.max("max_bits")).first()[0] <= S.width
+    assert not {r["rid"] for r in view.select("rid").distinct().collect()} & {r["rid"] for r in encoded.select("rid").collect()}
+
+
+def test_exact_matchers_agree(spark, encoded):
+    dirty = C.corrupt_register(R.make_register(_people(spark), 3), 3, 40)
+    exact = _rows(B.exact_conjunction(dirty, S), "cand")
+    assert exact == _rows(B.equal_filters(encoded, S), "cand")
+    assert set(_rows(B.clear_exact(dirty, S), "cand")) <= set(exact) <= set(_rows(L.central(encoded, S), "cand"))
+
+
+def test_corruption(spark):
+    reg = R.make_register(_people(spark, 1500), 3)
+    a = C.corruption_audit(reg, C.corrupt_register(reg, 3, 20), 3).first()
+    assert 0.15 < a["share"] < 0.25 and a["min_clean"] >= 1 and a["wrong"] == 0
+    rows = C.corrupt_register(reg, 3, 40).where("corrupted").collect()
+    assert all(r["postcode"].isdigit() or not r["postcode"] for r in rows)
+    assert C.corrupt_register(reg, 3, 0).where("corrupted").isEmpty()
+    one = spark.createDataFrame([("phone",)], "v string")
+    assert {one.select(F.expr(C.ocr_confuse("v", str(i))).alias("v")).first()["v"] for i in range(40)} > {"ph0ne"}
+    assert one.select(F.expr(C.phonetic_rewrite("v", "0")).alias("v")).first()["v"] == "fone"
+
+
+def test_skew_split_keeps_all_records(spark, encoded):
+    cut = blocking.split_blocks(encoded.withColumn("f", F.substring("rid", -1, 1)), 3, 1, "f")
+    assert cut.count() == encoded.count()
+    assert blocking.guard_blocks(encoded, 3, 1).where("action = 'split'").count() > 0
+
+
+def test_nulls_blanks_and_empty_registers(spark):
+    schema = "party int, rid string, entity long, given string, surname string, suburb string, postcode string"
+    rows = [(p, f"{'ABC'[p - 1]}-1", 1, None, "", None, " ") for p in (1, 2, 3)]
+    assert L.link(spark.createDataFrame(rows, schema), S).isEmpty()  # no gram, no similarity
+    assert L.link(spark.createDataFrame([], schema), S).isEmpty()
+
+
+def test_measures(spark, encoded, view):
+    s = measures.bit_sensitivity(R.make_register(_people(spark, 8), 3), S)
+    assert s.count() == 501 and all(r["s"] is None if r["freq"] == 0 else r["s"] == round(1 / min(r["dist"], r["freq"]), 6) for r in s.collect())
+    noisy = E.perturb(encoded, S, (5, 100))
+    assert noisy.agg(F.avg("flipped")).first()[0] == pytest.approx(25, abs=3)
+    same = measures.disclosure_external(view, view, S).agg(F.avg("dr_mean")).first()[0]
+    assert 0 < same <= 1
+    sweep = K.disclosure_grid(_people(spark, 1500), [(3, 100, 3), (7, 100, 3), (20, 100, 3)]).orderBy("parties").collect()
+    assert [r["dr_mean"] for r in sweep] == sorted((r["dr_mean"] for r in sweep), reverse=True)
+
+
+def test_quality_trends(spark):
+    rows = {(r["mode"], r["rate"]): r for r in K.quality_grid(R.make_register(_people(spark, 600), 3), S).collect()}
+    for mode in ("approx", "approx_filtered", "exact"):
+        assert rows[mode, 0]["recall"] >= rows[mode, 20]["recall"] >= rows[mode, 40]["recall"]
+    assert rows["approx", 40]["f1"] > rows["exact", 40]["f1"] and rows["exact", 0]["f1"] == 1
+    assert rows["approx_filtered", 0]["precision"] >= rows["approx", 0]["precision"]
+
+
+def test_incremental_link_equals_batch(spark, tmp_path):
+    reg = R.make_register(_people(spark), 3)
+    stored = E.settle(E.encode_register(reg, S))
+    found: list = []
+    each = streaming.incremental_link(S, stored, lambda df: found.extend(r["cand"] for r in df.collect()))
+    mine = reg.where("party = 1")
+    mine.repartition(3).write.parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema(mine.schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    stream.writeStream.foreachBatch(each).option("checkpointLocation", f"{tmp_path}/state").trigger(availableNow=True).start().awaitTermination()
+    assert sorted(found) == [r[0] for r in _rows(L.link(reg, S), "cand")]
+
+
+def test_stream_join_and_late_rows(spark, tmp_path):
+    for name, rows in (("a", [("x", "A-1", "2024-01-01 00:00:00")]), ("b", [("x", "B-1", "2024-01-01 00:30:00"), ("x", "B-2", "2024-01-01 03:00:00")])):
+        spark.createDataFrame(rows, "bkv string, rid string, ts string").withColumn("ts", F.to_timestamp("ts")).write.parquet(f"{tmp_path}/{name}")
+    read = lambda n: spark.readStream.schema("bkv string, rid string, ts timestamp").parquet(f"{tmp_path}/{n}")
+    out = streaming.run_to_table(streaming.matched_arrivals(read("a"), read("b")), f"{tmp_path}/out")
+    assert _rows(out, "rid1", "rid2") == [("A-1", "B-1")]
+
 
+def test_no_shuffle_on_bucketed_pieces(spark, view):
+    from ringlink import sources
 
-def test_running_example(spark):
-    spec = LinkageSpec(parties=3)
-    reg = spark.createDataFrame(ROWS, "party int, rid string, entity long, given string, surname string, suburb string, postcode string, bk string")
-    enc = L.encode_register(reg, spec).drop("bkv").join(reg.select("rid", "bk"), "rid").withColumnRenamed("bk", "bkv")
-    assert {r["rid"]: r["x_own"] for r in enc.collect()} == {"A-1": 255, "A-2": 252, "B-1": 248, "B-2": 241, "C-1": 255, "C-2": 228}
-    parts = L.partial_counts(L.exchange_segments(enc, spec), spec)
-    sums: dict = {}
-    for r in parts.collect():
-        c, x = sums.get((r["r1"], r["r2"], r["r3"]), (0, 0))
-        sums[r["r1"], r["r2"], r["r3"]] = (c + r["c"], x + r["x"])
-    assert sums == {("A-1", "B-1", "C-1"): (137, 758), ("A-1", "B-2", "C-1"): (234, 751), ("A-2", "B-1", "C-1"): (109, 755), ("A-2", "B-2", "C-1"): (144, 748)}
-    assert [(r["cand"], r["c"], r["x"]) for r in L.classify(parts, spec).collect()] == [("A-1,B-2,C-1", 234, 751)]
-    last = {(r["r1"], r["r2"]): r["masked_c"] for r in L.ring_transcript(parts, spec).where("sender = 3").collect()}
-    assert len(last) == 4
-
-
-def test_corruption_leaves_one_clean_copy(spark):
-    from ringlink.operators import corruption as C
-
-    reg = L.make_register(spark.range(1, 401).selectExpr("id AS entity", "cast(id % 25 AS int) AS nation"), 3)
-    key = lambda r: (r["party"], r["rid"])
-    clean = {key(r): r for r in reg.collect()}
-    assert all(not r["corrupted"] for r in C.corrupt_register(reg, 3, 0).collect())
-    rows = C.corrupt_register(reg, 3, 40).collect()
-    hit: dict = {}
-    for r in rows:
-        if r["corrupted"]:
-            hit.setdefault(r["entity"], set()).add(r["party"])
-        else:
-            assert all(r[c] == clean[key(r)][c] for c in ("given", "surname", "suburb", "postcode"))
-        assert r["postcode"].isdigit()
-    assert len(rows) == len(clean) and 20 < len(hit) < 60
-    assert all(e % 4 == 0 and 1 <= len(p) <= 2 for e, p in hit.items())
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        sources.save_pieces(view, "pieces_plan_test", 4)
+        t = spark.table("pieces_plan_test")
+        plan = t.where("owner = 1").join(t.where("owner = 2").select("holder", "bkv", F.col("rid").alias("r2")), ["holder", "bkv"])
+        assert "Exchange" not in plan._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.sql("DROP TABLE IF EXISTS pieces_plan_test")
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
