@@ -33,6 +33,39 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def stored(df: DataFrame, path: str) -> DataFrame:
+    """df as a Parquet table in the shared folder: its size is then known to the planner."""
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def remove(spark: SparkSession, *paths: str) -> None:
+    """Delete what is no longer read."""
+    sc = spark.sparkContext
+    for p in paths:
+        path = sc._jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def hot_join(left: DataFrame, right: DataFrame, on: str, key: str, rows: int = 200_000, salts: int = 16) -> DataFrame:
+    """left outer join of left.on = right.key, right unique by key and settled, where one key may hold much of left.
+
+    A right side of `rows` rows or fewer, counted, is broadcast; beyond it, it is copied to `salts` tasks a key.
+    """
+    if right.count() <= rows:
+        return left.join(F.broadcast(right), F.col(on) == F.col(key), "left")
+    dealt = left.withColumn("_salt", (F.rand() * salts).cast("int"))
+    copied = right.withColumn("_copy", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return dealt.join(copied, (F.col(on) == F.col(key)) & (F.col("_salt") == F.col("_copy")), "left").drop("_salt", "_copy")
+
+
+def shield(docs: DataFrame, *used: str) -> tuple[DataFrame, list]:
+    """docs whose columns other than `used` have names that clash with none of ours, and the columns that undo it."""
+    names = {c: c if c in used else f"_other{i}" for i, c in enumerate(docs.columns)}
+    back = [F.col(f"`{n}`").alias(c) for c, n in names.items()]
+    return docs.select(*(F.col(f"`{c}`").alias(n) for c, n in names.items())), back
+
+
 class Forest:
     """Union-find over hashable nodes; the smallest node of a tree is its root."""
 
@@ -80,7 +113,7 @@ def _stars(forest: Forest) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], names=["a", "b"])
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(node, component) of each node of the links (a, b): component is the smallest node reachable.
 
     Links are first contracted partition by partition, then large and small stars alternate until
@@ -91,7 +124,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     one_way = edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).where("a <> b")
     e = settle(one_way.mapInArrow(_contract, EDGE).distinct())
     mark = None
-    for _ in range(rounds):
+    while True:
         both = e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
         large = both.join(low, "a").where("b > a").select(F.col("m").alias("a"), "b").where("a <> b").distinct()
