@@ -8,6 +8,9 @@ from collections import Counter
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
+
+from ringlink.llm.common import shield
 
 _SYMBOL = re.compile(r"[#*$%&|<>]")
 _SPACE = re.compile("[\x20\x09-\x0d]")
@@ -49,20 +52,25 @@ def rules() -> list[tuple[str, Column]]:
         ("symbols", 10 * c("n_symbols") > 5 * c("n_words")),
         ("duplicate_lines", (c("n_lines") >= 4) & (100 * c("n_dup_lines") > 50 * c("n_lines"))),
         ("word_length", (c("word_chars") > 20 * c("n_words")) | (c("word_chars") < 2 * c("n_words"))),
+        ("nearly_empty", c("n_words") < 5),
     ]
 
 
-#: Versions of the policy: the bits that reject a document.
-POLICIES = {"base": 0b00011, "v1": 0b11111}
+#: Versions of the policy: the bits that reject a document. "corpus" keeps short documents, which are mostly clean.
+POLICIES = {"base": 0b000011, "v1": 0b011111, "corpus": 0b111110}
 
 
 def ledger(docs: DataFrame) -> DataFrame:
     """doc_id, the measures and `failures`, one bit per rule; each rule is evaluated once."""
-    bits = None
+    return docs.select("doc_id", "text").mapInArrow(_measured, SCHEMA).withColumn("failures", failures())
+
+
+def failures() -> Column:
+    """One bit per rule that fails, from the measures."""
+    bits = F.lit(0)
     for i, (_, failed) in enumerate(rules()):
-        bit = F.when(failed, F.lit(1 << i)).otherwise(F.lit(0))
-        bits = bit if bits is None else bits.bitwiseOR(bit)
-    return docs.select("doc_id", "text").mapInArrow(_measured, SCHEMA).withColumn("failures", bits.cast("long"))
+        bits = bits.bitwiseOR(F.when(failed, F.lit(1 << i)).otherwise(F.lit(0)))
+    return bits.cast("long")
 
 
 def verdict(policy: str = "v1") -> Column:
@@ -77,6 +85,22 @@ def ablation(book: DataFrame, policy: str = "v1") -> DataFrame:
     return book.select(F.explode(F.array(*pick)).alias("p")).groupBy("p.rule").agg(F.sum("p.failed").alias("failed"), F.sum("p.only").alias("only"))
 
 
+def keep(docs: DataFrame, policy: str = "v1") -> DataFrame:
+    """The rows of docs that the policy keeps, each judged by its own text, columns as they were.
+
+    Texts pass the measuring once, with their row: nothing is joined or shuffled. Null text counts as empty.
+    """
+    rows, back = shield(docs, "text")
+
+    def run(batches):
+        for b in batches:
+            cols = list(zip(*map(measure, b.column("text").to_pylist()), strict=True)) or [[]] * len(MEASURES)
+            yield pa.RecordBatch.from_arrays([*b.columns, *(pa.array(x, pa.int64()) for x in cols)], names=[*b.schema.names, *MEASURES])
+
+    schema = StructType([*rows.schema.fields, *(StructField(m, LongType()) for m in MEASURES)])
+    return rows.mapInArrow(run, schema).withColumn("failures", failures()).where(verdict(policy)).select(*back)
+
+
 def digest(docs: DataFrame) -> DataFrame:
     book = ledger(docs)
     base = F.col("failures").bitwiseAND(F.lit(POLICIES["base"])) != 0
