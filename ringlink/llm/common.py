@@ -93,6 +93,8 @@ class Forest:
 
 
 EDGE = "a long, b long"
+#: Links that one task may hold: nodes are then fewer than `_contract` gathers before it hands out stars.
+ONE_TASK = 200_000
 
 
 def _contract(batches):
@@ -123,6 +125,9 @@ def components(edges: DataFrame) -> DataFrame:
     """
     one_way = edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).where("a <> b")
     e = settle(one_way.mapInArrow(_contract, EDGE).distinct())
+    if e.count() <= ONE_TASK:  # counted: one task's union-find ends it, beyond that the rounds do
+        e = settle(e.repartition(1).mapInArrow(_contract, EDGE))
+        return _labelled(e)
     mark = None
     while True:
         both = e.select("a", "b").union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -136,4 +141,8 @@ def components(edges: DataFrame) -> DataFrame:
         if now == mark or now[0] == now[2] and not e.alias("x").join(e.select(F.col("b").alias("n")).distinct(), F.col("x.a") == F.col("n"), "left_semi").take(1):
             break
         mark = now
-    return e.select(F.col("b").alias("node"), F.col("a").alias("component")).union(e.select(F.col("a").alias("node"), F.col("a").alias("component")).distinct())
+    return _labelled(e)
+
+
+def _labelled(stars: DataFrame) -> DataFrame:
+    return stars.select(F.col("b").alias("node"), F.col("a").alias("component")).union(stars.select(F.col("a").alias("node"), F.col("a").alias("component")).distinct())

@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ringlink.llm.common import components, settle
+from ringlink.llm.common import components, settle, shield
 
 #: The ASCII letters are lower-cased, all else stays.
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -185,10 +185,10 @@ def _prefixed(shingle: int, least: float, common: np.ndarray):
             keys, sizes, prefixes = [], [], []
             for t in batch.column("text").to_pylist():
                 held = _set(t, shingle)
-                late = np.isin(held, common)
+                late = common[np.minimum(np.searchsorted(common, held), len(common) - 1)] == held if len(common) else np.zeros(len(held), bool)
                 keys.append(_key(held)), sizes.append(len(held))
                 prefixes.append(np.concatenate([held[~late], held[late]])[: len(held) - math.ceil(least * len(held) - 1e-9) + 1])
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))], names=["doc_id", "key", "n", "prefix"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), batch.column("h"), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))], names=["doc_id", "h", "key", "n", "prefix"])
 
     return run
 
@@ -231,8 +231,15 @@ def _first_pairs(least: float):
 
     def run(batches):
         for batch in batches:
-            for keys, sizes in zip(batch.column("keys").to_pylist(), batch.column("sizes").to_pylist(), strict=True):
-                key, n = np.array(keys, np.int64), np.array(sizes, np.int64)
+            flat = [batch.column(c).flatten().to_numpy(zero_copy_only=False) for c in ("keys", "sizes")]
+            long_ = batch.column("keys").value_lengths().to_numpy(zero_copy_only=False)
+            start = np.concatenate([[0], np.cumsum(long_)]).astype(np.int64)
+            two = start[:-1][long_ == 2]  # most buckets: one pair each
+            low, high = (np.minimum(flat[1][two], flat[1][two + 1]), np.maximum(flat[1][two], flat[1][two + 1]))
+            two = two[low >= least * high - 1e-9]
+            yield _pairs(flat[0], flat[1], two, two + 1, least)
+            for at_, end in zip(start[:-1][long_ > 2], start[1:][long_ > 2], strict=True):
+                key, n = flat[0][at_:end], flat[1][at_:end]
                 order = np.lexsort((key, n))
                 key, n = key[order], n[order]
                 low, at = int(np.argmin(key)), np.arange(len(key))
@@ -276,35 +283,32 @@ def _alike(least: float):
 
 
 def near_copies(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:
-    """(doc_id, component_id): component_id is the smallest doc_id that links reach; texts link when the Jaccard
+    """(doc_id, h, component_id), h a hash of the text: component_id is the smallest doc_id that links reach (null last); texts link when the Jaccard
     similarity of their sets of word shingles is `least` or more, all such links, none else.
 
     At .8 a fingerprint differs in about ten of its 64 bits with a wide spread, which no number of masks covers, so
     candidates share a shingle of their prefixes instead. Links that hold among a few pairs of each bucket join the
     big groups first; after that only pairs across groups are left to compare. Texts without a word are one class.
     """
-    held = docs.select("doc_id", "text")
-    sets = settle(held.mapInArrow(_prefixed(shingle, least, _common(held, shingle)), "doc_id long, key long, n long, prefix array<long>"))
+    held = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"))
+    sets = settle(held.mapInArrow(_prefixed(shingle, least, _common(held, shingle)), "doc_id long, h long, key long, n long, prefix array<long>"))
     rows = sets.select("key", "n", F.explode("prefix").alias("s")).select("s", "key", "n")
     lists = "s long, keys array<long>, sizes array<long>"
     full = settle(rows.repartition("s").sortWithinPartitions("s", "key").mapInArrow(_buckets, lists))
 
-    def whole(few):
-        def run(batches):
-            for batch in batches:
-                all_ = [_set(t, shingle) for t in batch.column("text").to_pylist()]
-                some = [(k, h.tobytes()) for h in all_ for k in [_key(h)] if few is None or k in few]
-                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in some], pa.int64()), pa.array([h for _, h in some], pa.binary())], names=["key", "held"])
-
-        return run
+    def whole(batches):
+        for batch in batches:
+            all_ = [_set(t, shingle) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([_key(h) for h in all_], pa.int64()), pa.array([h.tobytes() for h in all_], pa.binary())], names=["key", "held"])
 
     def holding(counted: DataFrame, done: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
         """The pairs that share enough of their prefixes, and those of them that hold."""
         tried = counted.groupBy("a", "b", "need").agg(F.count("*").alias("c")).where("c >= need").select("a", "b")
         tried = settle(tried.join(done, ["a", "b"], "left_anti") if done is not None else tried)
-        nodes = tried.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-        few = {r["key"] for r in nodes.collect()} if nodes.count() <= 300_000 else None  # drops sets before the shuffle; more keys are left to the join
-        sets_ = settle(held.select("text").mapInArrow(whole(few), "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
+        nodes = settle(tried.select(F.explode(F.array("a", "b")).alias("key")).distinct())
+        if nodes.count() <= 300_000:  # drops sets before they are shuffled; more keys are left to a shuffled join
+            nodes = F.broadcast(nodes)
+        sets_ = settle(held.select("text").mapInArrow(whole, "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
         pairs = tried
         for side, name in (("a", "x"), ("b", "y")):
             pairs = pairs.join(sets_.select(F.col("key").alias(side), F.col("held").alias(name)), side)
@@ -317,6 +321,28 @@ def near_copies(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFr
     open_ = members.groupBy("s").agg(F.collect_list(F.struct("key", "n", "label")).alias("members"), F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
     others = open_.select("members").mapInArrow(_other_pairs(least), "a long, b long, need long")
     groups = components(found.union(holding(others, tried)[1]))
-    named = sets.select("doc_id", "key").join(groups, F.col("key") == F.col("node"), "left").select("doc_id", F.coalesce("component", "key").alias("class"))
-    first = named.groupBy("class").agg(F.min("doc_id").alias("component_id"))
-    return named.join(first, "class").select("doc_id", "component_id")
+    keys = sets.groupBy("key").agg(F.min("doc_id").alias("low"))  # a class may have much of the rows: keys are joined once each
+    keys = keys.join(groups, F.col("key") == F.col("node"), "left").select("key", "low", F.coalesce("component", "key").alias("class"))
+    first = keys.groupBy("class").agg(F.min("low").alias("component_id"))
+    keys = keys.join(first, "class").select(F.col("key").alias("k"), "component_id")
+    return sets.select("doc_id", "h", "key").join(keys, F.col("key") == F.col("k")).select("doc_id", "h", "component_id")
+
+
+def first_of_copies(docs: DataFrame) -> DataFrame:
+    """The rows of docs that stay: of each group of near copies the one with the smallest doc_id, columns as they were.
+
+    Rows with one id and one text are told apart only if there are such: then one of them stays. A group whose ids are
+    all null keeps one row. Empty texts are a group like any other.
+    """
+    rows, back = shield(docs, "doc_id", "text")
+    named = settle(near_copies(rows))
+    gone = named.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_d"), F.col("h").alias("_h")).distinct()
+    stay = named.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    n = stay.agg(F.count("*").alias("n"), F.countDistinct(F.struct("component_id")).alias("d")).first()
+    h = F.xxhash64(F.coalesce("text", F.lit("")))
+    gone = settle(gone)
+    gone = F.broadcast(gone) if gone.count() <= 200_000 else gone
+    left = rows.withColumn("_hash", h).join(gone, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_hash") == F.col("_h")), "left_anti")
+    if n["n"] != n["d"]:  # rows of one id in one group, or a group of null ids
+        left = left.dropDuplicates(["doc_id"] if stay.where("doc_id is null").isEmpty() else ["doc_id", "_hash"])
+    return left.select(*back)
