@@ -17,7 +17,7 @@ LEET = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "
 ALPHABET = "^abcdefghijklmnopqrstuvwxyz"
 _WORD = re.compile(r"[^\W_]+")
 _ODD = re.compile(r"[a-z]*[0-9@$!|+][a-z0-9@$!|+]*[a-z][a-z0-9@$!|+]*|[a-z]+[0-9@$!|+][a-z0-9@$!|+]*|\w*(\w)\1\1\w*")
-_SPACED = re.compile(r"(?<!\w)[a-z0-9@$!|+](?:[ .\-_*][a-z0-9@$!|+]){3,39}(?!\w)")
+_SPACED = re.compile(r"(?<!\w)[a-z0-9@$!|+](?:[ .\-_*][a-z0-9@$!|+]){3,}+(?!\w)")
 
 
 def counted(texts) -> np.ndarray:
@@ -32,26 +32,42 @@ def counted(texts) -> np.ndarray:
     return out
 
 
-def decode(token: str, cost: np.ndarray) -> str:
-    """Viterbi over the lattice of a token: a sign gives one of its letters or, repeated, nothing."""
-    beams = {(0, 0): (0.0, "")}
+def decode(token: str, cost: np.ndarray, gaps: bool = False) -> str:
+    """Viterbi over the lattice of a token: a sign gives one of its letters or, repeated, nothing.
+
+    With `gaps` blanks in the token are places where a word may end, at the model's cost of a boundary. Time is linear
+    in the token: a column holds a state for each pair of letters at most, and points back to the one before it.
+    """
+    column = {(0, 0): (0.0, None)}  # state -> cost, (state before, letter) chain
     before = ""
     for ch in token:
+        if gaps and ch == " ":
+            new = dict(column)
+            for (a, b), (w, back) in column.items():
+                if b and ((b, 0) not in new or w + cost[a, b, 0] < new[b, 0][0]):
+                    new[b, 0] = (w + cost[a, b, 0], (back, " "))
+            column = new
+            continue
         letters = LEET.get(ch, ch if "a" <= ch <= "z" else "")
         if not letters:
             before = ch
             continue
-        new: dict = {}
-        for (a, b), (w, s) in beams.items():
+        new = {}
+        for (a, b), (w, back) in column.items():
             options = [(ord(x) - 96, x, 0.0 if x == ch else 0.7) for x in letters]
             if ch == before:
                 options.append((None, "", 0.5))
             for k, x, noise in options:
                 key, v = ((a, b), w + noise) if k is None else ((b, k), w + noise + cost[a, b, k])
                 if key not in new or v < new[key][0]:
-                    new[key] = (v, s + x)
-        beams, before = new, ch
-    return min((w + cost[a, b, 0], s) for (a, b), (w, s) in beams.items())[1]
+                    new[key] = (v, (back, x) if x else back)
+        column, before = new, ch
+    _, back = min(((w + cost[a, b, 0], back) for (a, b), (w, back) in column.items()), key=lambda x: x[0])
+    out = []
+    while back is not None:
+        back, x = back
+        out.append(x)
+    return "".join(reversed(out))
 
 
 def _shapes() -> bytes:
@@ -71,18 +87,20 @@ class Restored(dict):
     def __missing__(self, token: str) -> tuple:
         if len(self) >= self.most:
             self.clear()
-        out = self[token] = (*_WORD.findall(token), *(self.decoded(m.group()) for m in _ODD.finditer(token) if len(m.group()) <= 40))
+        out = self[token] = (*_WORD.findall(token), *(decode(m.group(), self.cost) for m in _ODD.finditer(token)))
         return out
 
-    def decoded(self, raw: str) -> str:
-        return decode(re.sub(r"[ .\-_*]", "", raw), self.cost)
+    def spaced(self, raw: str) -> list[str]:
+        """The words of a run of single signs, boundaries as the model places them."""
+        return decode(re.sub(r"[ .\-_*]", " ", raw), self.cost, gaps=True).split()
 
     def words(self, text: str | None) -> set:
-        """The distinct words of a whole text, with what each obfuscated stretch of up to 40 signs decodes to besides."""
+        """The distinct words of a whole text, with what each obfuscated stretch decodes to besides."""
         low = (text or "").lower()
         out = set(itertools.chain.from_iterable(map(self.__getitem__, set(low.split()))))
         if b"sxsxsx" in low.encode("utf-8", "replace").translate(_SHAPE):  # no spaced-out word without it
-            out.update(self.decoded(m.group()) for m in _SPACED.finditer(low))
+            for m in _SPACED.finditer(low):
+                out.update(self.spaced(m.group()))
         return out
 
 
@@ -109,7 +127,7 @@ def evidence(words: set, strong: dict, marked: frozenset, rates: tuple[float, fl
 BIAS = -4.0
 
 
-def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int = 3, share: float = 0.03, lexicon: int = 20_000) -> DataFrame:
+def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int = 3, share: float = 0.03) -> DataFrame:
     """doc_id, held_out, score, predicted of docs (doc_id, text), one row each.
 
     The channel's language model counts all documents. The lexicon is learned from at most `sample` labelled
@@ -154,7 +172,7 @@ def score(docs: DataFrame, labels: DataFrame, sample: int = 20_000, least: int =
         yield pa.RecordBatch.from_arrays([pa.array(keys, pa.string()), *(pa.array([c[y][k] for k in keys], pa.int64()) for c in (texts, carriers) for y in (1, 0))], names=["f", "bad", "good", "bad_words", "good_words"])
 
     known = train.mapInArrow(learning, "f string, bad long, good long, bad_words long, good_words long").groupBy("f").agg(*(F.sum(c).alias(c) for c in ("bad", "good", "bad_words", "good_words"))).where((F.col("f") == "") | (F.col("bad") >= least))
-    rows = {r["f"]: tuple(r)[1:] for r in known.orderBy(F.col("f") != "", F.desc(F.col("bad") / (F.col("good") + 1)), "f").limit(lexicon + 1).collect()}
+    rows = {r["f"]: tuple(r)[1:] for r in known.collect()}  # words of the sample's toxic texts at most
     bad, good, bad_words, good_words = rows.pop("", (0, 0, 0, 0))
     strong, marked = {}, set()
     for f, (a, b, aw, bw) in rows.items():
