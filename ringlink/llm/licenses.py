@@ -10,14 +10,21 @@ from pyspark.sql import functions as F
 from ringlink.llm.common import settle
 
 PHRASES = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
-#: Our own short notices; a block that holds most of a notice's words gets its label.
+#: Our own short notices; a block that holds most of a notice's words gets its label. Of four words or fewer all are
+#: needed at the threshold .8, so forms that differ in one word stay apart.
 TEMPLATES = {
     "apache-2.0": "licensed under the apache license version 2.0",
-    "cc-by-nc-4.0": "licensed under cc by nc 4.0",
-    "gpl-3.0": "general public license version 3",
+    "cc-by-nc-4.0": "cc by nc 4",
+    "gpl-3.0": "public license version 3",
     "mit": "permission is hereby granted free of charge to any person obtaining a copy of this software",
     "bsd": "redistribution and use in source and binary forms with or without modification are permitted",
+    "apache": "apache license version 2",
+    "mit-short": "under the mit license",
+    "bsd-short": "under the bsd license",
+    "cc-by-sa": "commons attribution sharealike license",
 }
+#: Labels of short forms that stand for a license above.
+SAME = {"apache": "apache-2.0", "mit-short": "mit", "bsd-short": "bsd"}
 _W = r"[0-9A-Za-z\x{80}-\x{10FFFF}]"
 _GAP = r"[^0-9A-Za-z\x{80}-\x{10FFFF}]+"
 
@@ -62,33 +69,42 @@ def base(docs: DataFrame) -> DataFrame:
 
 
 def containment_join(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """(doc_id, hash, label, containment): every line that holds `threshold` or more of a template's distinct words.
-
-    Template words are ordered by how many documents have them, rarest first. A line that meets the threshold must
-    hold one of the template's first size - need + 1 words (prefix) and have `need` words or more (length); a match
-    first found at prefix place i can reach size - i words at most (position). The templates are a fixed list.
+    """(doc_id, hash, label, containment): every window of words that holds `threshold` or more of a template's distinct words.
+
+    A block is any run of words half as long again as the template, over line ends, so a wrapped notice is found and
+    words scattered over a page are none. Template words are ordered by how many documents have them, rarest first
+    (global frequency order). A window that meets the threshold holds one of the template's first size - need + 1 words
+    (prefix), so windows are tried only around those; it has `need` words at least (length); a match whose first word
+    in that order is at place i can reach size - i (position), so around a word at place i only the words from i on
+    count: a window with a rarer one is tried around that. The templates are a fixed list.
     """
     spark = docs.sparkSession
     vocab = sorted({w for t in TEMPLATES.values() for w in words_of(t)})
     text = F.coalesce(F.col("text"), F.lit(""))
     mine = docs.select("doc_id", F.xxhash64(text).alias("hash"), text.alias("text"))
-    seen = mine.select(F.explode(F.array_intersect(words("text"), F.array(*map(F.lit, vocab)))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
+    any_word = rf"(?<!{_W})(?i:" + "|".join(vocab) + rf")(?!{_W})"
+    seen = mine.where(F.col("text").rlike(any_word)).select(F.explode(F.array_intersect(words("text"), F.array(*map(F.lit, vocab)))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
     often = {r["w"]: r["n"] for r in seen.collect()}  # the templates' words only
     rows, prefixes = [], set()
     for label, notice in TEMPLATES.items():
         order = sorted(words_of(notice), key=lambda w: (often.get(w, 0), w))
         need = math.ceil(threshold * len(order) - 1e-9)
         for i, w in enumerate(order[: len(order) - need + 1]):
-            rows.append((label, w, i, need, order))
+            rows.append((SAME.get(label, label), w, i, need, len(order), math.ceil(1.5 * len(notice.split())), order[i:]))
             prefixes.add(w)
-    prefix = spark.createDataFrame(rows, "label string, w string, place int, need int, notice array<string>")
-    rare = rf"(?<!{_W})(?i:" + "|".join(sorted(w for w in prefixes)) + rf")(?!{_W})"
-    lines = mine.where(F.col("text").rlike(rare)).select("doc_id", "hash", F.explode(F.split("text", "\n")).alias("line")).where(F.col("line").rlike(rare))
-    lines = lines.select("doc_id", "hash", F.array_distinct(words("line")).alias("tokens"))
-    pairs = lines.select("*", F.explode("tokens").alias("w")).join(F.broadcast(prefix), "w")
-    pairs = pairs.where((F.size("tokens") >= F.col("need")) & (F.size("notice") - F.col("place") >= F.col("need")))
-    both = F.size(F.array_intersect("tokens", "notice"))
-    return pairs.where(both >= F.col("need")).select("doc_id", "hash", "label", (both / F.size("notice")).alias("containment"))
+    prefix = spark.createDataFrame(rows, "label string, w string, place int, need int, size int, wide int, notice array<string>")
+    rare = rf"(?<!{_W})(?i:" + "|".join(sorted(prefixes)) + rf")(?!{_W})"
+    held = mine.where(F.col("text").rlike(rare)).select("doc_id", "hash", words("text").alias("tokens"))
+    widest = max(r[5] for r in rows)
+    # what stands around each place of a prefix word: a window's width on both sides, not the text
+    wanted = F.array(*map(F.lit, sorted(prefixes)))
+    at = F.filter(F.sequence(F.lit(0), F.size("tokens") - 1), lambda i: F.array_contains(wanted, F.get("tokens", i)))
+    near = F.transform(at, lambda i: F.struct(F.get("tokens", i).alias("w"), F.least(i, F.lit(widest - 1)).alias("at"), F.slice("tokens", F.greatest(i - (widest - 1), F.lit(0)) + 1, F.lit(2 * widest - 1)).alias("near")))
+    spots = held.where(F.size("tokens") > 0).select("doc_id", "hash", F.explode(near).alias("p")).select("doc_id", "hash", "p.*")
+    pairs = spots.join(F.broadcast(prefix), "w").where((F.size("near") >= F.col("need")) & (F.size("notice") >= F.col("need")))
+    starts = F.sequence(F.greatest(F.col("at") - F.col("wide") + 1, F.lit(0)), F.col("at"))
+    both = F.array_max(F.transform(starts, lambda s: F.size(F.array_intersect(F.slice("near", s + 1, F.col("wide")), F.col("notice")))))
+    return pairs.withColumn("both", both).where(F.col("both") >= F.col("need")).select("doc_id", "hash", "label", (F.col("both") / F.col("size")).alias("containment"))
 
 
 def words_of(notice: str) -> list[str]:
