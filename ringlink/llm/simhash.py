@@ -226,26 +226,37 @@ def _pairs(key, n, i, j, least: float) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(x) for x in (np.minimum(a, b), np.maximum(a, b), need)], names=["a", "b", "need"])
 
 
+def _same_size(starts: np.ndarray, lengths: np.ndarray, cells: int = 2_000_000):
+    """The buckets that have one length, as rows of places, so many at a time that their pairs stay under `cells`."""
+    for k in np.unique(lengths[lengths > 1]):
+        here, step = starts[lengths == k], max(1, cells // (int(k) * int(k)))
+        for at in range(0, len(here), step):
+            yield here[at : at + step, None] + np.arange(k)
+
+
+def _by_length(batch: pa.RecordBatch, column: str, *others: str):
+    """The list column's rows of places, by `_same_size`, and its flat values: of its struct's fields, or of it and the other lists."""
+    lists = batch.column(column)
+    flat = lists.flatten()
+    flat = [flat.field(f) for f in others] if pa.types.is_struct(flat.type) else [flat, *(batch.column(c).flatten() for c in others)]
+    lengths = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    return [f.to_numpy(zero_copy_only=False) for f in flat], _same_size(np.cumsum(lengths) - lengths, lengths)
+
+
 def _first_pairs(least: float):
     """Pairs enough to connect each bucket if they hold: neighbours by size, and all with the smallest key."""
 
     def run(batches):
         for batch in batches:
-            flat = [batch.column(c).flatten().to_numpy(zero_copy_only=False) for c in ("keys", "sizes")]
-            long_ = batch.column("keys").value_lengths().to_numpy(zero_copy_only=False)
-            start = np.concatenate([[0], np.cumsum(long_)]).astype(np.int64)
-            two = start[:-1][long_ == 2]  # most buckets: one pair each
-            low, high = (np.minimum(flat[1][two], flat[1][two + 1]), np.maximum(flat[1][two], flat[1][two + 1]))
-            two = two[low >= least * high - 1e-9]
-            yield _pairs(flat[0], flat[1], two, two + 1, least)
-            for at_, end in zip(start[:-1][long_ > 2], start[1:][long_ > 2], strict=True):
-                key, n = flat[0][at_:end], flat[1][at_:end]
-                order = np.lexsort((key, n))
-                key, n = key[order], n[order]
-                low, at = int(np.argmin(key)), np.arange(len(key))
-                pairs = np.unique(np.sort(np.concatenate([np.stack([at[:-1], at[1:]], 1), np.stack([np.full(len(at), low), at], 1)]), axis=1), axis=0)
-                i, j = pairs[:, 0], pairs[:, 1]
-                ok = (i < j) & (n[i] >= least * n[j] - 1e-9)
+            (key, n), rows = _by_length(batch, "keys", "sizes")
+            for at in rows:  # places by key, then by size
+                at = np.take_along_axis(at, np.argsort(n[at], axis=1, kind="stable"), 1)
+                low, place = np.argmin(key[at], axis=1)[:, None], np.arange(at.shape[1])[None, :]
+                far = np.abs(place - low) > 1  # the smallest key's neighbours are pairs already
+                first = np.take_along_axis(at, low, 1)
+                i = np.concatenate([at[:, :-1].ravel(), np.where(place < low, at, first)[far]])
+                j = np.concatenate([at[:, 1:].ravel(), np.where(place < low, first, at)[far]])
+                ok = n[i] >= least * n[j] - 1e-9
                 yield _pairs(key, n, i[ok], j[ok], least)
 
     return run
@@ -256,15 +267,23 @@ def _other_pairs(least: float, block: int = 512):
 
     def run(batches):
         for batch in batches:
-            for members in batch.column("members").to_pylist():
-                key, n, label = (np.array([m[c] for m in members], np.int64) for c in ("key", "n", "label"))
-                order = np.argsort(n, kind="stable")
-                key, n, label = key[order], n[order], label[order]
-                for at in range(0, len(n), block):
-                    i = np.arange(at, min(at + block, len(n)))[:, None]
-                    j = np.arange(at, np.searchsorted(n, n[i[-1, 0]] / least + 1e-9, "right"))[None, :]
-                    x, y = np.nonzero((i < j) & (label[i] != label[j]) & (n[i] >= least * n[j] - 1e-9))
-                    yield _pairs(key, n, x + at, y + at, least)
+            (key, n, label), rows = _by_length(batch, "members", "key", "n", "label")
+            for at in rows:
+                at = np.take_along_axis(at, np.argsort(n[at], axis=1, kind="stable"), 1)
+                k = at.shape[1]
+                if k <= block:
+                    x, y = np.triu_indices(k, 1)
+                    i, j = at[:, x].ravel(), at[:, y].ravel()
+                    ok = (label[i] != label[j]) & (n[i] >= least * n[j] - 1e-9)
+                    yield _pairs(key, n, i[ok], j[ok], least)
+                    continue
+                for one in at:
+                    size, of = n[one], label[one]
+                    for begin in range(0, k, block):
+                        i = np.arange(begin, min(begin + block, k))[:, None]
+                        j = np.arange(begin, np.searchsorted(size, size[i[-1, 0]] / least + 1e-9, "right"))[None, :]
+                        x, y = np.nonzero((i < j) & (of[i] != of[j]) & (size[i] >= least * size[j] - 1e-9))
+                        yield _pairs(key, n, one[x + begin], one[y + begin], least)
 
     return run
 
@@ -306,9 +325,11 @@ def near_copies(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFr
         tried = counted.groupBy("a", "b", "need").agg(F.count("*").alias("c")).where("c >= need").select("a", "b")
         tried = settle(tried.join(done, ["a", "b"], "left_anti") if done is not None else tried)
         nodes = settle(tried.select(F.explode(F.array("a", "b")).alias("key")).distinct())
-        if nodes.count() <= 300_000:  # drops sets before they are shuffled; more keys are left to a shuffled join
-            nodes = F.broadcast(nodes)
-        sets_ = settle(held.select("text").mapInArrow(whole, "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
+        some = settle(sets.join(nodes, "key", "left_semi").groupBy("key").agg(F.min("h").alias("h")).select("h").distinct())  # one text a set
+        if nodes.count() <= 300_000:  # drops texts before their sets are made; more are left to shuffled joins
+            nodes, some = F.broadcast(nodes), F.broadcast(some)
+        texts = held.join(some, "h", "left_semi").select("text")
+        sets_ = settle(texts.mapInArrow(whole, "key long, held binary").join(nodes, "key", "left_semi").dropDuplicates(["key"]))
         pairs = tried
         for side, name in (("a", "x"), ("b", "y")):
             pairs = pairs.join(sets_.select(F.col("key").alias(side), F.col("held").alias(name)), side)
