@@ -1,3 +1,6 @@
+import collections
+import functools
+import math
 import random
 import re
 
@@ -177,16 +180,72 @@ def test_pii_reaches_recurring_contexts_and_every_occurrence(spark):
 def test_quality_backs_off_to_lower_orders(spark):
     from ringlink.llm import quality_lm
 
-    text = "the cat sat on the mat and the dog ran to the cat " * 3
-    g, n = np.unique(quality_lm._grams(quality_lm._codes(text)), return_counts=True)
-    counts = spark.createDataFrame([("en", int(a), int(b)) for a, b in zip(g, n, strict=True)], "lang string, gram long, n long")
-    p = quality_lm.filled(quality_lm.model(counts).collect())["en"]
-    assert p.min() > 0 and np.allclose(p.reshape(-1, quality_lm.CLASSES).sum(1), 1)  # seen and unseen contexts alike
-    unseen = np.setdiff1d(np.arange(len(p)), g)
-    assert len(np.unique(p[unseen].round(9))) > 10
-    docs = spark.createDataFrame([(i, text[i:], "en") for i in range(20)], "doc_id long, text string, lang string")
-    out = quality_lm.score(docs, spark.createDataFrame([(i, 1) for i in range(20)], "doc_id long, quality int"), quantile=0.5).collect()
-    assert out[0]["threshold"] in {r["perplexity"] for r in out} and {r["kept"] for r in out} == {True, False}
+    text = "the cat sat on the mat \u4e2d and the dog ran to the cat " * 3
+    grams, n = quality_lm._distinct([text, "\U0001f600 too"])
+    counts = spark.createDataFrame([("en", int(a), int(b)) for a, b in zip(grams.view(np.int64), n, strict=True)], "lang string, gram long, n long")
+    answers: dict = {}
+    for r in quality_lm.model(counts).collect():
+        answers.setdefault(r["k"], []).append((r["gram"] % 2**64, np.nan if r["p"] is None else r["p"], np.nan if r["back"] is None else r["back"]))
+    answers = {k: (np.array([x[0] for x in v], np.uint64), *(np.array([x[i] for x in v]) for i in (1, 2))) for k, v in ((k, sorted(v)) for k, v in answers.items())}
+    units = np.unique(grams & np.uint64(0xFFFF))
+    for before in ("the", " ca", "zzt", "zzz"):  # seen and unseen contexts alike
+        ctx = functools.reduce(lambda g, c: g << 16 | ord(c), before, 0)
+        p = quality_lm.resolve(np.array([ctx << 16 | int(u) for u in units], np.uint64), answers)
+        lacking = quality_lm.resolve(np.array([ctx << 16 | 0xFFFD], np.uint64), answers)  # one for all it lacks
+        assert p.min() > 0 and abs(p.sum() + lacking[0] - 1) < 1e-6
+
+
+def _kneser_ney(texts):
+    """The probability of a unit after three, from definitions, as a function of a gram of four."""
+    levels = [collections.Counter(g for t in texts for g in zip(*(("   " + t + " ")[i:] for i in range(4)), strict=False))]
+    for _ in range(3):
+        levels.append(collections.Counter(g[1:] for g in levels[-1]))
+    flat = 1 / (len(levels[-1]) + 1)
+
+    def discount(level, n):
+        t = collections.Counter(level.values())
+        y, i = (t[1] / (t[1] + 2 * t[2]) if t[1] else 0.0), min(n, 3)
+        return max(0.05, min(i - 0.05, i - (i + 1) * y * t[i + 1] / t[i] if t[i] else i * 0.5))
+
+    cuts = {id(level): {n: discount(level, n) for n in set(level.values())} for level in levels}
+
+    def p(gram):
+        if not gram:
+            return flat
+        level = levels[4 - len(gram)]
+        after = [n for g, n in level.items() if g[:-1] == gram[:-1]]
+        if not after:
+            return p(gram[1:])
+        d = cuts[id(level)]
+        n = level.get(gram, 0)
+        return ((n - d[n]) / sum(after) if n else 0.0) + sum(d[m] for m in after) / sum(after) * p(gram[1:])
+
+    return p
+
+
+def test_quality_against_brute_force(spark):
+    from ringlink.llm import quality_lm
+
+    rng = random.Random(3)
+    words = ["the", "cat", "sat", "\u4e2d\u6587", "mat", "Dog", "", "n\u00e9", "12"]
+    rows = [(i, " ".join(rng.choices(words, k=rng.randint(1, 30))), "en" if i % 3 else None) for i in range(60)] + [(90, None, "en"), (91, "", "xx"), (None, "the cat", "en")]
+    docs, good = spark.createDataFrame(rows, "doc_id long, text string, lang string"), range(0, 60, 2)
+    out = quality_lm.score(docs, spark.createDataFrame([(i, 1) for i in good], "doc_id long, quality int"), quantile=0.5, block=300).collect()
+    total = sum(len(r[1] or "") for r in rows)
+    place = {tuple(r)[:1]: r["b"] for r in docs.select("doc_id", F.pmod(F.xxhash64("doc_id", "text"), F.lit(2 + total // 600 * 2)).alias("b")).collect()}
+    assert len(out) == len(rows) and len(set(place.values())) > 4
+    models = {(h, lang): _kneser_ney([t for i, t, x in rows if i in good and x == lang and place[(i,)] % 2 != h]) for h in (0, 1) for lang in ("en", None)}
+    want = {}
+    for i, t, lang in rows:
+        if lang == "xx":
+            want[i] = None
+            continue
+        grams = list(zip(*(("   " + (t or "") + " ")[k:] for k in range(4)), strict=False))
+        want[i] = math.exp(-sum(math.log(models[place[(i,)] % 2, lang](g)) for g in grams) / len(grams))
+    for r in out:
+        assert r["perplexity"] is None and r["kept"] if want[r["doc_id"]] is None else math.isclose(r["perplexity"], want[r["doc_id"]], rel_tol=1e-4)
+        assert r["kept"] == (r["perplexity"] is None or r["perplexity"] <= r["threshold"])
+    assert {r["kept"] for r in out} == {True, False}
 
 
 def _warc_rows(rows):
