@@ -226,7 +226,7 @@ def _pairs(key, n, i, j, least: float) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(x) for x in (np.minimum(a, b), np.maximum(a, b), need)], names=["a", "b", "need"])
 
 
-def _same_size(starts: np.ndarray, lengths: np.ndarray, cells: int = 2_000_000):
+def _same_size(starts: np.ndarray, lengths: np.ndarray, cells: int = 500_000):
     """The buckets that have one length, as rows of places, so many at a time that their pairs stay under `cells`."""
     for k in np.unique(lengths[lengths > 1]):
         here, step = starts[lengths == k], max(1, cells // (int(k) * int(k)))
