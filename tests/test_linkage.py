@@ -226,3 +226,41 @@ def test_no_shuffle_on_bucketed_pieces(spark, view):
     finally:
         spark.sql("DROP TABLE IF EXISTS pieces_plan_test")
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_joint_counts_equal_the_holders_own(spark, encoded, view):
+    cols = ("holder", "r1", "r2", "r3", "c", "x")
+    assert _rows(compare.by_holder(compare.joint_counts(encoded, S), S), *cols) == _rows(compare.partial_counts(view, S), *cols)
+    for t in ((3, 5), (4, 5)):
+        s = replace(S, seg_threshold=t)
+        kept = compare.partial_counts(view, s, "prefix").groupBy("r1", "r2", "r3").agg(F.count("*").alias("n")).where("n = 3")
+        assert _rows(compare.joint_counts(encoded, s, "prefix"), "r1", "r2", "r3") == _rows(kept, "r1", "r2", "r3")
+    counts, joint = compare.partial_counts(view, S), compare.joint_counts(encoded, S)
+    for who in ("one", "rotate", "external"):
+        cols = ("cand", "first", "hop", "sender", "receiver", "masked_c", "masked_x")
+        assert _rows(ring.joint_transcript(joint, S, "k", who), *cols) == _rows(ring.ring_transcript(counts, S, "k", who), *cols)
+
+
+def test_prefixes_of_seven_parties(spark):
+    s = replace(K.spec_for(7), seg_threshold=(3, 5))
+    encoded = E.settle(E.encode_register(C.corrupt_register(R.make_register(_people(spark, 120), 7), 7, 40), s))
+    ids = [f"r{j}" for j in range(1, 8)]
+    kept = compare.partial_counts(E.settle(X.exchange_segments(encoded, s)), s, "prefix").groupBy(*ids).agg(F.count("*").alias("n")).where("n = 7")
+    rows = _rows(compare.joint_counts(encoded, s, "prefix"), *ids)
+    assert rows and rows == _rows(kept, *ids)
+
+
+def test_no_candidate_is_shuffled(spark, encoded):
+    for mode in ("approx", "approx_filtered"):
+        plan = L.link_encoded(encoded, S, mode)._jdf.queryExecution().executedPlan().toString()
+        moved = [line for line in plan.splitlines() if "Exchange" in line and "AdaptiveSparkPlan" not in line]
+        assert moved and all("hashpartitioning(bkv" in line for line in moved)
+
+
+def test_bounds_lose_no_match(spark, encoded):
+    for kind in ("dice", "jaccard", "overlap", "cosine"):
+        s = replace(S, threshold=(3, 5))
+        every = L.central(encoded, s, kind=kind, keep_all=True)
+        want = every.where("x > 0 and 15 * c >= 3 * x") if kind == "dice" else every.where("sim >= 0.6")
+        got = L.central(encoded, s, kind=kind)
+        assert _rows(got, "cand", "c", "x", "sim") == _rows(want, "cand", "c", "x", "sim")
