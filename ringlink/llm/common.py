@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 
 import pyarrow as pa
@@ -66,6 +68,34 @@ def shield(docs: DataFrame, *used: str) -> tuple[DataFrame, list]:
     return docs.select(*(F.col(f"`{c}`").alias(n) for c, n in names.items())), back
 
 
+#: Functions that empty what this process keeps between tasks.
+KEPT: list = []
+
+
+def lean(run, drop: bool = True):
+    """A mapInArrow function that hands memory back to the system when its task ends, as Spark keeps Python workers for
+    later stages; with `drop` it first empties what other operators' tasks keep in this worker."""
+
+    def out(batches):
+        if drop:
+            for empty in KEPT:
+                empty()
+            _trim()
+        yield from run(batches)
+        _trim()
+
+    return out
+
+
+def _trim() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # not the GNU library
+        pass
+
+
 class Forest:
     """Union-find over hashable nodes; the smallest node of a tree is its root."""
 

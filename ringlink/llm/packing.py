@@ -12,13 +12,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ringlink.llm.common import settle
+from ringlink.llm.common import KEPT, lean, settle
 
 LIMIT = 4096
 _PIECE = "struct<doc_id:bigint,piece:int,start:bigint,length:bigint,ids_crc32:bigint>"
 BIN = f"total long, done boolean, pieces array<{_PIECE}>"
 _ARROW = pa.list_(pa.struct([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())]))
-_ODD = re.compile("[\x1c-\x1f]")  # white space to Python, not to the tokenizer
+_ODD = "\x1c\x1d\x1e\x1f"  # white space to Python, not to the tokenizer
 _TAIL = re.compile(r"([^\W\d_]+)([.,!?;:#$%&*|]*)")
 
 
@@ -49,7 +49,7 @@ class Ids(dict):
         return b"".join(i.to_bytes(4, "little") for i in self.tokenizer.encode(text, add_special_tokens=False).ids)
 
     def of(self, text: str) -> bytes:
-        if _ODD.search(text):
+        if any(c in text for c in _ODD):
             return self.encode(text)
         return b"".join(map(self.__getitem__, text.split()))
 
@@ -60,6 +60,8 @@ def _ids(path: str) -> Ids:
     return Ids(path)
 
 
+KEPT.append(_ids.cache_clear)
+
 def _best_fit(items: list, limit: int) -> list[list]:
     """Best-fit decreasing. items: (total, key, pieces); gives [total, pieces] bins."""
     free: list[tuple[int, int]] = []  # (room, bin), sorted
@@ -123,7 +125,7 @@ def pack(docs: DataFrame, tokenizer_path: str, limit: int = LIMIT, end_id: int =
     next round on an eighth of the partitions, down to one task once 50,000 bins or fewer are left. Each round
     is settled in the shared folder; a round holds 50,000 items in memory at most. Repeated rows are packed each.
     """
-    all_ = settle(docs.select("doc_id", "text").mapInArrow(_first(tokenizer_path, limit, end_id, limit // 64), BIN))
+    all_ = settle(docs.select("doc_id", "text").mapInArrow(lean(_first(tokenizer_path, limit, end_id, limit // 64), drop=False), BIN))
     parts = [all_.where("done")]
     under = all_.where("not done")
     left = under.count()
@@ -132,7 +134,7 @@ def pack(docs: DataFrame, tokenizer_path: str, limit: int = LIMIT, end_id: int =
         tasks = max(1, left // 20_000)
         slack = min(limit, slack * 4) if tasks > 1 else limit
         key = F.xxhash64(F.col("pieces")[0]["doc_id"], F.col("pieces")[0]["piece"])
-        bins = settle(under.repartition(tasks, key).mapInArrow(_again(limit, slack), BIN))
+        bins = settle(under.repartition(tasks, key).mapInArrow(lean(_again(limit, slack), drop=False), BIN))
         parts.append(bins.where("done"))
         under, was = bins.where("not done"), left
         left = under.count()

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from ringlink.llm.common import shield
+from ringlink.llm.common import lean, shield
 
 _SYMBOL = re.compile(r"[#*$%&|<>]")
 _SPACE = re.compile("[\x20\x09-\x0d]")
@@ -98,7 +98,7 @@ def keep(docs: DataFrame, policy: str = "v1") -> DataFrame:
             yield pa.RecordBatch.from_arrays([*b.columns, *(pa.array(x, pa.int64()) for x in cols)], names=[*b.schema.names, *MEASURES])
 
     schema = StructType([*rows.schema.fields, *(StructField(m, LongType()) for m in MEASURES)])
-    return rows.mapInArrow(run, schema).withColumn("failures", failures()).where(verdict(policy)).select(*back)
+    return rows.mapInArrow(lean(run), schema).withColumn("failures", failures()).where(verdict(policy)).select(*back)
 
 
 def digest(docs: DataFrame) -> DataFrame:

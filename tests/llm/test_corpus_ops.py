@@ -386,3 +386,30 @@ def test_pipeline_stages_keep_columns_and_hard_rows(spark):
             assert out.columns == docs.columns, name
             ids = [r["doc_id"] for r in out.select("doc_id").collect()]
             assert len(ids) == len(set(ids)) or name not in ("simhash near-dedup",)
+
+
+def test_pipeline_copies_are_met_by_fingerprints(spark, monkeypatch):
+    import pyarrow as pa
+
+    import corpus_pipeline
+
+    def nothing(least):  # no prefix gives a pair
+        return lambda batches: (pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 3, names=["a", "b", "need"]) for _ in batches)
+
+    monkeypatch.setattr(simhash, "_first_pairs", nothing)
+    monkeypatch.setattr(simhash, "_other_pairs", nothing)
+    words = [f"w{i}" for i in range(400)]
+    near = " ".join([*words, "end"])
+    prints = [simhash.fingerprint(t, 5) for t in (" ".join(words), near)]
+    assert (prints[0] ^ prints[1]).bit_count() <= 3
+    rows = _docs(spark, [(1, " ".join(words)), (2, near), (3, " ".join(reversed(words)))])
+    assert {r["doc_id"] for r in corpus_pipeline.simhash_dedup(spark, rows, "").collect()} == {1, 3}
+
+
+def test_worker_caches_are_emptied(monkeypatch):
+    from ringlink.llm import common
+
+    emptied = []
+    monkeypatch.setattr(common, "KEPT", [lambda: emptied.append(1)])
+    assert list(common.lean(iter)([1, 2])) == [1, 2] and emptied == [1]
+    assert list(common.lean(iter, drop=False)([3])) == [3] and emptied == [1]
