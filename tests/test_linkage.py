@@ -264,3 +264,16 @@ def test_bounds_lose_no_match(spark, encoded):
         want = every.where("x > 0 and 15 * c >= 3 * x") if kind == "dice" else every.where("sim >= 0.6")
         got = L.central(encoded, s, kind=kind)
         assert _rows(got, "cand", "c", "x", "sim") == _rows(want, "cand", "c", "x", "sim")
+
+
+@pytest.mark.parametrize("name", ["in_memory", "ring_example", "two_strings", "running_example", "filter_example", "sample_bernoulli"])
+def test_examples_read_a_table(spark, monkeypatch, name):
+    from pyspark.sql.readwriter import DataFrameReader
+
+    read, was = [], DataFrameReader.parquet
+    monkeypatch.setattr(DataFrameReader, "parquet", lambda self, *paths, **more: read.extend(paths) or was(self, *paths, **more))
+    assert not catalog.queries()[name](spark, "/root/testdata/sf0.001").isEmpty() and read
+
+
+def test_sample_is_plausible_at_any_size(spark):
+    assert catalog.queries()["sample_bernoulli"](spark, "/root/testdata/sf0.1").first()["plausible"]
