@@ -6,6 +6,7 @@ import bisect
 import functools
 import itertools
 import re
+import struct
 import zlib
 
 import pyarrow as pa
@@ -20,6 +21,9 @@ BIN = f"total long, done boolean, pieces array<{_PIECE}>"
 _ARROW = pa.list_(pa.struct([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())]))
 _ODD = "\x1c\x1d\x1e\x1f"  # white space to Python, not to the tokenizer
 _TAIL = re.compile(r"([^\W\d_]+)([.,!?;:#$%&*|]*)")
+#: How the tokenizer writes a byte: as its own sign where that is printable, else as one of those from 256 on.
+_PRINTED = [*range(33, 127), *range(161, 173), *range(174, 256)]
+_BYTES = {b: chr(b) for b in _PRINTED} | {b: chr(256 + k) for k, b in enumerate(sorted({*range(256)} - {*_PRINTED}))}
 
 
 class Ids(dict):
@@ -29,6 +33,7 @@ class Ids(dict):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most, self.parts = Tokenizer.from_file(path), most, {}
+        self.model = self.tokenizer.model
 
     def __missing__(self, chunk: str) -> bytes:
         if len(self) >= self.most:
@@ -42,9 +47,14 @@ class Ids(dict):
         if word not in self.parts:
             if len(self.parts) >= self.most:
                 self.parts.clear()
-            self.parts[word] = self.encode(word)
+            self.parts[word] = self.letters(word) if word.isalpha() and max(word) < "\u0100" else self.encode(word)
         return self.parts[word]
 
+    def letters(self, word: str) -> bytes:
+        """A word of Latin-1 letters: it has one form, one lower case and no place to part it, so the model takes it as it is."""
+        found = [t.id for t in self.model.tokenize(word.lower().encode().decode("latin-1").translate(_BYTES))]
+        return struct.pack(f"<{len(found)}I", *found)
+
     def encode(self, text: str) -> bytes:
         return b"".join(i.to_bytes(4, "little") for i in self.tokenizer.encode(text, add_special_tokens=False).ids)
 

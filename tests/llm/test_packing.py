@@ -19,6 +19,18 @@ def test_ids_by_chunk_are_those_of_the_whole_text():
         assert ids.of(text) == want, repr(text)
 
 
+def test_words_of_latin_letters_skip_the_whole_tokenizer():
+    rng, whole, ids = random.Random(6), Tokenizer.from_file(PATH), packing.Ids(PATH)
+    letters = [c for c in map(chr, range(256)) if c.isalpha()]
+    words = [*letters, *("".join(rng.choice(letters[: rng.choice([52, 999])]) for _ in range(rng.randint(1, 30))) for _ in range(5000))]
+    ids.part("")  # what follows a word without signs
+    encode, ids.encode = ids.encode, None  # such a word never gets there
+    for word in words:
+        assert ids.of(word) == encode(word), word
+    ids.encode = encode
+    assert ids.of("Ωmega ﬁ ŉ") == b"".join(i.to_bytes(4, "little") for i in whole.encode("Ωmega ﬁ ŉ", add_special_tokens=False).ids)
+
+
 def test_packing_places_every_id_once(spark):
     rng = random.Random(2)
     texts = [None, "", "a b c", "long " * 9000, *("word " * rng.randint(1, 3000) for _ in range(60))]
