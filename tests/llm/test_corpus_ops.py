@@ -58,6 +58,8 @@ def test_pipeline_near_copies_against_brute_force(spark):
     assert {r["doc_id"]: r["component_id"] for r in simhash.near_copies(rows).collect()} == dict(enumerate(root))
     kept = {r["doc_id"] for r in corpus_pipeline.simhash_dedup(spark, rows, "").collect()}
     assert kept == set(root)
+    crowded = simhash.near_copies(rows, few=1, room=1500)  # every bucket in tiles, a few sets in each
+    assert {r["doc_id"]: r["component_id"] for r in crowded.collect()} == dict(enumerate(root))
 
 
 def test_epsilon_grid_join_against_all_pairs(spark):
@@ -406,6 +408,49 @@ def test_pipeline_copies_are_met_by_fingerprints(spark, monkeypatch):
     assert {r["doc_id"] for r in corpus_pipeline.simhash_dedup(spark, rows, "").collect()} == {1, 3}
 
 
+def test_pipeline_crowded_buckets_make_no_pair_rows(spark, monkeypatch):
+    import pyarrow as pa
+
+    def nothing(least):
+        return lambda batches: (pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 3, names=["a", "b", "need"]) for _ in batches)
+
+    monkeypatch.setattr(simhash, "_first_pairs", nothing)
+    monkeypatch.setattr(simhash, "_other_pairs", nothing)
+    monkeypatch.setattr(simhash, "links", lambda prints, forest: spark.createDataFrame([], "a long, b long"))
+    words, texts = [f"w{i}" for i in range(200)], []
+    for c in range(60):
+        texts.append(" ".join([*words[: 3 * c], f"new{c}", *words[3 * c + 1 :]]))
+    texts.append(" ".join([*words[:120], *(f"far{i}" for i in range(80))]))  # shares a passage, is no copy
+    out = {r["doc_id"]: r["component_id"] for r in simhash.near_copies(_docs(spark, list(enumerate(texts)))).collect()}
+    assert out == {i: 0 for i in range(60)} | {60: 60}
+
+
+def test_links_of_a_tile_connect_what_all_its_links_connect():
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    for trial in range(20):
+        bases = [rng.integers(-(2**62), 2**62, rng.integers(1, 3000 if trial < 4 else 60)) for _ in range(5)]
+        sets = []
+        for _ in range(120):
+            base = bases[rng.integers(len(bases))]
+            sets.append(np.unique(np.concatenate([base[rng.random(len(base)) < rng.uniform(0.8, 1)], rng.integers(-(2**62), 2**62, rng.integers(0, 4))])))
+        sets = sorted((s for s in sets if len(s)), key=len)
+        part = rng.integers(0, 2, len(sets)) if trial % 2 else np.zeros(len(sets), np.int64)
+        want, got, label = simhash.Forest(), simhash.Forest(), rng.permutation(len(sets)) // 2
+        for i in range(len(sets)):
+            for j in range(i):
+                both = len(np.intersect1d(sets[i], sets[j]))
+                if both >= 0.8 * (len(sets[i]) + len(sets[j]) - both) - 1e-9 and (part[i] != part[j] or not part.any()):
+                    want.link(int(label[i]), int(label[j]))
+        found = list(simhash._bound(np.array([len(s) for s in sets]), label, sets, part, 0.8, block=16))
+        for i, j in found:
+            both = len(np.intersect1d(sets[i], sets[j]))
+            assert both >= 0.8 * (len(sets[i]) + len(sets[j]) - both) - 1e-9
+            assert got.link(int(label[i]), int(label[j]))
+        assert [want.find(int(x)) for x in label] == [got.find(int(x)) for x in label] and found
+
+
 def test_worker_caches_are_emptied(monkeypatch):
     from ringlink.llm import common
 
