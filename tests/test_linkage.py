@@ -277,3 +277,10 @@ def test_examples_read_a_table(spark, monkeypatch, name):
 
 def test_sample_is_plausible_at_any_size(spark):
     assert catalog.queries()["sample_bernoulli"](spark, "/root/testdata/sf0.1").first()["plausible"]
+
+
+def test_stream_hashes_persons_once(spark, monkeypatch):
+    seen, was = [], streaming.run_to_table
+    monkeypatch.setattr(streaming, "run_to_table", lambda stream, *more: seen.append(stream) or was(stream, *more))
+    rows = catalog.queries()["stream_encode"](spark, "/root/testdata/sf0.001").count()
+    assert rows and "md5" not in seen[0]._jdf.queryExecution().logical().toString()
