@@ -425,6 +425,51 @@ def test_pipeline_crowded_buckets_make_no_pair_rows(spark, monkeypatch):
     assert out == {i: 0 for i in range(60)} | {60: 60}
 
 
+def test_pipeline_parities_settle_crowded_buckets_without_whole_sets(spark, monkeypatch):
+    import pyarrow as pa
+
+    def nothing(*names):
+        return lambda *args: lambda batches: (pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * len(names), names=names) for _ in batches)
+
+    for name in ("_first_pairs", "_other_pairs"):
+        monkeypatch.setattr(simhash, name, nothing("a", "b", "need"))
+    monkeypatch.setattr(simhash, "_crowded", nothing("a", "b"))  # no tile's sets are needed
+    monkeypatch.setattr(simhash, "links", lambda prints, forest: spark.createDataFrame([], "a long, b long"))
+    passage, texts = [f"w{i}" for i in range(60)], []
+    for c in range(40):  # pairs of near copies; all share one passage
+        own = [f"own{c}x{i}" for i in range(12)]
+        texts += [" ".join([*passage, *own]), " ".join([*passage, *own[:-1], "other"])]
+    docs = _docs(spark, list(enumerate(texts)))
+    assert {r["doc_id"]: r["component_id"] for r in simhash.near_copies(docs).collect()} == {i: i - i % 2 for i in range(80)}
+
+
+def test_parities_rule_out_no_link():
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    base, sets = rng.integers(-(2**63), 2**63 - 1, 5000), []
+    for _ in range(90):
+        held = base[: rng.integers(1, 5000)].copy()
+        lost = rng.permutation(len(held))[: int(len(held) * rng.uniform(0, 0.2))]
+        held[lost] = rng.integers(-(2**63), 2**63 - 1, len(lost))
+        sets.append(np.unique(held))
+    sets.sort(key=len)
+    n, odd, label = np.array([len(s) for s in sets]), [simhash._odd(s) for s in sets], np.arange(90) // 2
+    for part in (np.zeros(90, np.int64), np.arange(90) % 2):
+        want = set()
+        for i in range(90):
+            for j in range(i + 1, 90):
+                both = len(np.intersect1d(sets[i], sets[j]))
+                if label[i] != label[j] and both >= 0.8 * (n[i] + n[j] - both) and (not part.any() or part[i] != part[j]):
+                    want.add((i, j))
+        pairs, met = simhash._unruled(n, label, odd, part, 0.8, 10**6, block=16)
+        got = set(zip(*(p.tolist() for p in pairs)))
+        assert want and want <= got and len(got) < 2 * len(want) + 20
+        assert met.nonzero()[0].tolist() == sorted({x for p in got for x in p})
+        none, same = simhash._unruled(n, label, odd, part, 0.8, 0, block=16)
+        assert none is None and (same == met).all()
+
+
 def test_links_of_a_tile_connect_what_all_its_links_connect():
     import numpy as np
 
