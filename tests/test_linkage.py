@@ -284,3 +284,12 @@ def test_stream_hashes_persons_once(spark, monkeypatch):
     monkeypatch.setattr(streaming, "run_to_table", lambda stream, *more: seen.append(stream) or was(stream, *more))
     rows = catalog.queries()["stream_encode"](spark, "/root/testdata/sf0.001").count()
     assert rows and "md5" not in seen[0]._jdf.queryExecution().logical().toString()
+
+
+def test_filter_zero_joins_once_for_all_holders(spark, tmp_path):
+    spark.range(1, 301).selectExpr("id AS c_custkey", "int(id % 25) AS c_nationkey").write.parquet(f"{tmp_path}/customer.parquet")
+    out, zero = catalog.queries()["filter_zero"](spark, str(tmp_path)), replace(S, seg_threshold=(0, 5))
+    want = catalog._candidate_rows(compare.partial_counts(catalog.settled_view(spark, str(tmp_path), zero), zero, "prefix"), zero)
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, want.collect())) != []
+    joins = [r for r in out._jdf.queryExecution().sparkPlan().toString().splitlines() if "Join" in r]
+    assert len(joins) == 2 and not any("holder" in r for r in joins)
