@@ -95,12 +95,19 @@ def _batch(bins, limit: int, slack: int) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([b[0] for b in bins], pa.int64()), pa.array([b[0] >= limit - slack for b in bins], pa.bool_()), pa.array([b[1] for b in bins], _ARROW)], names=["total", "done", "pieces"])
 
 
+def _rows(batch: pa.RecordBatch, step: int = 256):
+    """doc_id and text of each row; only `step` texts at a time stand in memory as strings too."""
+    for at in range(0, batch.num_rows, step):
+        some = batch.slice(at, step)
+        yield from zip(some.column("doc_id").to_pylist(), some.column("text").to_pylist(), strict=True)
+
+
 def _first(path: str, limit: int, end_id: int, slack: int, hold: int = 50_000):
     def packed(batches):
         ids = _ids(path)
         end, items, keys = end_id.to_bytes(4, "little"), [], itertools.count()
         for batch in batches:
-            for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
+            for doc, text in _rows(batch):
                 raw = ids.of(text or "") + end
                 for k, at in enumerate(range(0, len(raw), 4 * limit)):
                     part = raw[at : at + 4 * limit]

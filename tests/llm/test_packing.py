@@ -55,3 +55,11 @@ def test_packing_places_every_id_once(spark):
             at += r["length"]
         assert at <= 4096
     assert len(bins) <= -(-sum(r["length"] for r in rows) // 4096) + 1
+
+
+def test_rows_of_a_batch_come_in_steps():
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(700)), "text": [None if i % 7 == 0 else f"t{i}" for i in range(700)]})
+    assert list(packing._rows(batch)) == list(zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist())) == list(packing._rows(batch, 1))
+    assert list(packing._rows(batch.slice(0, 0))) == []
