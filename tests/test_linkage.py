@@ -293,3 +293,21 @@ def test_filter_zero_joins_once_for_all_holders(spark, tmp_path):
     assert sorted(map(tuple, out.collect())) == sorted(map(tuple, want.collect())) != []
     joins = [r for r in out._jdf.queryExecution().sparkPlan().toString().splitlines() if "Join" in r]
     assert len(joins) == 2 and not any("holder" in r for r in joins)
+
+
+def test_filter_loose_moves_a_record_once(spark, tmp_path):
+    spark.range(300).selectExpr("id AS c_custkey", "int(id % 25) AS c_nationkey").write.parquet(f"{tmp_path}/customer.parquet")
+    out, loose = catalog.queries()["filter_loose"](spark, str(tmp_path)), replace(S, seg_threshold=(3, 5))
+    want = catalog._candidate_rows(compare.partial_counts(catalog.settled_view(spark, str(tmp_path), loose), loose, "prefix"), loose)
+    assert out.dtypes == want.dtypes and sorted(map(tuple, out.collect())) == sorted(map(tuple, want.collect())) != []
+    plan = out._jdf.queryExecution().executedPlan().toString().partition("== Initial Plan ==")[0]
+    moved = [r for r in plan.splitlines() if "Exchange hashpartitioning(" in r and "Reused" not in r and "hashpartitioning(party" not in r]
+    assert len(moved) == 3 and all("hashpartitioning(bkv" in r for r in moved)  # one for each party, none for a holder
+
+
+def test_holders_chains_of_seven_parties(spark):
+    s = replace(K.spec_for(7), seg_threshold=(3, 5))
+    encoded = E.settle(E.encode_register(C.corrupt_register(R.make_register(_people(spark, 120), 7), 7, 40), s))
+    cols = ("holder", *(f"r{j}" for j in range(1, 8)), "c", "x")
+    want = _rows(compare.partial_counts(E.settle(X.exchange_segments(encoded, s)), s, "prefix"), *cols)
+    assert want and _rows(compare.kept_counts(encoded, s), *cols) == want
