@@ -311,3 +311,36 @@ def test_holders_chains_of_seven_parties(spark):
     cols = ("holder", *(f"r{j}" for j in range(1, 8)), "c", "x")
     want = _rows(compare.partial_counts(E.settle(X.exchange_segments(encoded, s)), s, "prefix"), *cols)
     assert want and _rows(compare.kept_counts(encoded, s), *cols) == want
+
+
+def _brute(rows, p, kind, num, den):
+    """cand of the sets of one block that reach num/den, each tried."""
+    from itertools import product
+
+    out = set()
+    for block in {r["bkv"] for r in rows}:
+        for chosen in product(*([r for r in rows if r["bkv"] == block and r["party"] == j] for j in range(1, p + 1))):
+            sets = [{(k, i) for k in range(9) for i in range(63) if r[f"b{k}"] >> i & 1} for r in chosen]
+            c, x = len(set.intersection(*sets)), [len(s) for s in sets]
+            over = {"dice": (p * c, sum(x)), "overlap": (c, min(x)), "cosine": (c, (x[0] * x[1] * x[p - 1]) ** (1 / p) if p == 3 else (x[0] * x[1]) ** 0.5)}[kind]
+            if over[1] and den * over[0] >= num * over[1] - 1e-9:
+                out.add(",".join(r["rid"] for r in chosen))
+    return sorted(out)
+
+
+@pytest.mark.parametrize(("kind", "p"), [("dice", 3), ("overlap", 3), ("cosine", 3), ("dice", 2)])
+def test_sets_are_found_pairs_first_whatever_the_tiles(spark, monkeypatch, kind, p):
+    from ringlink.operators import blockwise
+
+    register = C.corrupt_register(R.make_register(_people(spark, 90), 3), 3, 40)
+    encoded = E.settle(E.encode_register(register.withColumn("surname", F.substring("surname", 1, 1)), S).unionByName(E.encode_register(register.limit(2), S).select("party", F.lit("A-empty").alias("rid"), F.lit("B000").alias("bkv"), *(F.lit(0).cast("long").alias(b) for b in E.bit_columns(S)), F.lit(0).alias("x_own")).limit(1)))
+    want = _brute(encoded.collect(), p, kind, 4, 5)
+    assert len(want) > 5
+    for first, others, cells in ((1024, 16384, 1 << 18), (2, 3, 4)):
+        monkeypatch.setattr(blockwise, "FIRST", first)
+        monkeypatch.setattr(blockwise, "OTHERS", others)
+        monkeypatch.setattr(blockwise, "CELLS", cells)
+        found = L.central(encoded, S, p, kind)
+        assert sorted(r["cand"] for r in found.collect()) == want
+        plan = found._jdf.queryExecution().optimizedPlan().toString()
+        assert plan.count("Join") == 1  # with the sizes of blocks; no join multiplies records by a block
