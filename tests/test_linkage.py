@@ -344,3 +344,15 @@ def test_sets_are_found_pairs_first_whatever_the_tiles(spark, monkeypatch, kind,
         assert sorted(r["cand"] for r in found.collect()) == want
         plan = found._jdf.queryExecution().optimizedPlan().toString()
         assert plan.count("Join") == 1  # with the sizes of blocks; no join multiplies records by a block
+
+
+def test_filtered_matches_of_many_parties_need_no_chain_of_joins(spark):
+    s = replace(S, parties=4, seg_threshold=(3, 4), threshold=(7, 10))
+    encoded = E.settle(E.encode_register(R.make_register(_people(spark, 60), 4).withColumn("surname", F.substring("surname", 1, 1)), s))
+    joint = compare.joint_counts(encoded, s, "prefix", "dice")
+    assert joint._jdf.queryExecution().optimizedPlan().toString().count("Join") == 1
+    view = E.settle(X.exchange_segments(encoded, s))
+    totals = ring.ring_totals(compare.partial_counts(view, s, "prefix"), s, "k1")
+    want = _rows(L.readable(L.classify(totals, s, "k1"), X.record_tokens(encoded, s), s), "cand", "c", "x", "sim")
+    assert want and _rows(L.link_encoded(encoded, s, "approx_filtered"), "cand", "c", "x", "sim") == want
+    assert len(_rows(L.link_encoded(encoded, s), "cand")) > len(want)
